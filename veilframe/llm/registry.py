@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("langid", "media", "chat", "url_filter", "line_dedup", "simhash", "quality")
+MODULES = ("langid", "mixing", "media", "chat", "url_filter", "line_dedup", "simhash", "quality")
 
 
 def _all(what: str) -> dict:
