@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("langid", "mixing", "media", "chat", "pieces", "url_filter", "line_dedup", "simhash", "quality")
+MODULES = ("langid", "mixing", "media", "suffix_dedup", "chat", "pieces", "url_filter", "line_dedup", "simhash", "quality")
 
 
 def _all(what: str) -> dict:
