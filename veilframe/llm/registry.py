@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("langid", "mixing", "media", "suffix_dedup", "chat", "pieces", "url_filter", "line_dedup", "simhash", "quality")
+MODULES = ("langid", "mixing", "chat", "suffix_dedup", "pieces", "url_filter", "quality", "simhash", "media", "line_dedup")
 
 
 def _all(what: str) -> dict:
@@ -12,7 +12,9 @@ def _all(what: str) -> dict:
 
 
 def queries() -> dict:
-    return _all("QUERIES")
+    import corpus_pipeline
+
+    return {**_all("QUERIES"), "pipeline": corpus_pipeline.run}
 
 
 def oracles() -> dict[str, str]:
