@@ -54,7 +54,7 @@ def got(spark, texts, **how):
     return [rows[i] for i in range(len(texts))]
 
 
-@pytest.mark.parametrize("most", [1000, 1])
+@pytest.mark.parametrize("most", [20_000, 1])
 def test_against_every_window(spark, most):
     texts = corpus(1)
     assert got(spark, texts, most=most) == brute(texts)

@@ -287,7 +287,7 @@ def _in_the_open(parts: DataFrame, span: int) -> DataFrame:
     return windows.join(twice, ["anchor", "w1", "w2"]).groupBy("anchor", "seg1", "seg2").agg(F.min("place").alias("low"), F.max("place").alias("high"))
 
 
-def covered(docs: DataFrame, span: int = 400, most: int = 1000) -> DataFrame:
+def covered(docs: DataFrame, span: int = 400, most: int = 20_000) -> DataFrame:
     """(row, doc_id, cover): for each text with bytes to remove, stretches (start, end) that may overlap."""
     if not 2 * GRAM <= span <= 4000:
         raise ValueError("span must be 64 to 4000 bytes")
@@ -307,7 +307,7 @@ def covered(docs: DataFrame, span: int = 400, most: int = 1000) -> DataFrame:
 KEPT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
-def remaining(docs: DataFrame, span: int = 400, most: int = 1000, with_bytes: bool = False) -> DataFrame:
+def remaining(docs: DataFrame, span: int = 400, most: int = 20_000, with_bytes: bool = False) -> DataFrame:
     """KEPT for every row, and with with_bytes a binary column kept: the bytes left (which may cut a letter)."""
     names = [x.split()[0] for x in KEPT.split(", ")] + ["kept"] * with_bytes
 
