@@ -20,7 +20,8 @@ import hashlib
 import heapq
 import math
 import re
-from collections.abc import Iterator
+from array import array
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -34,7 +35,7 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 LONGEST = 1 << 14
 #: Log probabilities are whole multiples of 1 / SCALE, so that sums are exact and ties are ties.
 SCALE = 1 << 20
-REMEMBERED = 200_000
+REMEMBERED = 350_000
 
 
 @dataclass
@@ -110,49 +111,151 @@ def n_best(pieces: Pieces, part: str, n: int) -> list[tuple[int, tuple[int, ...]
 
 
 class Encoder:
+    """Encodes texts part by part, remembering parts. Keeps at most two generations of REMEMBERED of them."""
+
     def __init__(self, pieces: Pieces, n: int = 1):
-        self.pieces, self.n = pieces, n
-        self.parts = re.compile(" *[^ ]{1,%d}| +" % LONGEST)
-        self.known: dict[str, tuple] = {}
+        import ahocorasick
 
-    def part(self, part: str) -> tuple:
-        """(best score, best ids as bytes, gap to the second, all)."""
-        if len(self.known) >= REMEMBERED:
+        self.pieces, self.n = pieces, n
+        covered = {c for piece in pieces.score for c in piece}
+        if not covered <= pieces.score.keys():
+            raise ValueError("a letter of a piece is no piece itself")
+        letters = "".join(sorted(covered - {" "})).translate({ord(c): "\\" + c for c in "\\]^-[&~|"})
+        # no piece has a letter outside `covered`, so such a letter is a part of its own
+        self.parts = re.compile(f" *[{letters}]{{1,{LONGEST}}}| +|[^ {letters}]", re.DOTALL)
+        self.matcher = ahocorasick.Automaton()
+        for piece, (score, i) in pieces.score.items():
+            self.matcher.add_word(piece, (len(piece), score, i))
+        self.matcher.make_automaton()
+        self.sizes = [0] * len(pieces.text_of)
+        for piece, (_, i) in pieces.score.items():
+            self.sizes[i] = len(piece)
+        self.joined = {piece[i : i + 2] for piece in pieces.score for i in range(len(piece) - 1)}
+        self.known: dict[str, tuple[int, bytes, float]] = {}
+        self.before: dict[str, tuple[int, bytes, float]] = {}
+        self.words: dict[str, tuple[int, bytes, float]] = {}
+        self.words_before: dict[str, tuple[int, bytes, float]] = {}
+        self.lists: dict[str, list[tuple[int, tuple[int, ...]]]] = {}
+
+    def _solve(self, part: str) -> tuple[int, bytes, float] | None:
+        """The search's first descent: from the end along best predecessors. What it leaves on the agenda are the
+        other pieces into the positions that it passed; the best of them is the second best segmentation."""
+        n = len(part)
+        low = -(1 << 62)
+        best, second, into = [0] + [low] * n, [low] * (n + 1), [0] * (n + 1)
+        for last, (size, score, i) in self.matcher.iter(part):
+            end = last + 1
+            score += best[end - size]
+            if score > best[end]:
+                second[end], best[end], into[end] = best[end], score, i
+            elif score > second[end]:
+                second[end] = score
+        if best[n] < low // 2:
+            return None
+        ids, gap, at, sizes = [], 1 << 62, n, self.sizes
+        while at:
+            i = into[at]
+            ids.append(i)
+            if best[at] - second[at] < gap:
+                gap = best[at] - second[at]
+            at -= sizes[i]
+        ids.reverse()
+        return best[n], array("i", ids).tobytes(), gap if gap < 1 << 60 else math.inf
+
+    def part(self, part: str) -> tuple[int, bytes, float]:
+        """(best score, best ids as bytes, gap to the second best)."""
+        if (made := self.before.get(part)) is None and (made := self._solve(part)) is None:
+            found = n_best(self.pieces, part, 1)[0]  # a letter outside all pieces
+            made = found[0], array("i", found[1]).tobytes(), math.inf
+        if len(self.known) >= REMEMBERED:  # frequent parts come back from the generation before
+            self.before = dict(self.known)
             self.known.clear()
-        found = n_best(self.pieces, part, self.n)
-        made = found[0][0], np.array(found[0][1], np.int32).tobytes(), found[0][0] - found[1][0] if len(found) > 1 else math.inf, found
         self.known[part] = made
         return made
 
+    def word(self, word: str) -> tuple[int, bytes, float]:
+        """part() of a space and a word, which may hold letters outside all pieces and so fall into several parts."""
+        if (made := self.words_before.get(word)) is None:
+            if len(word) >= LONGEST:
+                raise OverflowError
+            made = None
+            if 1 < len(word) <= 100 and word[-2:] not in self.joined:  # no piece spans the last two letters: a mark after a word
+                head, tail = self.words.get(word[:-1]) or self.word(word[:-1]), self.known.get(word[-1]) or self.part(word[-1])
+                made = head[0] + tail[0], head[1] + tail[1], min(head[2], tail[2])
+            else:
+                made = self._solve(" " + word)
+            if made is None:
+                all_ = [self.known.get(p) or self.part(p) for p in self.parts.findall(" " + word)]
+                made = sum(p[0] for p in all_), b"".join(p[1] for p in all_), min(p[2] for p in all_)
+        if len(self.words) >= REMEMBERED:
+            self.words_before = dict(self.words)
+            self.words.clear()
+        self.words[word] = made
+        return made
+
+    def choices(self, part: str) -> list[tuple[int, tuple[int, ...]]]:
+        """The n best segmentations of a part."""
+        if len(self.lists) >= REMEMBERED // 20:
+            self.lists.clear()
+        found = self.lists.get(part)
+        if found is None:
+            found = self.lists[part] = n_best(self.pieces, part, self.n)
+        return found
+
+    def _parts_of(self, text: str) -> tuple[Callable[[int], str], list[tuple[int, bytes, float]]]:
+        """Names (by place) and solutions of a text's parts: its words, if single spaces part them."""
+        padded = " " + text
+        if "  " not in padded:
+            known, words = self.words, text.split(" ")
+            try:
+                return lambda i: " " + words[i], [known.get(w) or self.word(w) for w in words]
+            except OverflowError:  # a very long word
+                pass
+        names, known = self.parts.findall(padded), self.known
+        return names.__getitem__, [known.get(p) or self.part(p) for p in names]
+
     def encode(self, text: str) -> tuple[np.ndarray, list[float], list[list[tuple[int, int]]]]:
         """Best ids; the scores of the n best; and for each of these which parts take which of their choices."""
         if not text:
             return np.zeros(0, np.int32), [0.0], [[]]
-        known = self.known
-        parts = [known.get(p) or self.part(p) for p in self.parts.findall(" " + text)]
-        ids = np.frombuffer(b"".join([p[1] for p in parts]), np.int32)
-        total = sum([p[0] for p in parts])
+        names, parts = self._parts_of(text)
+        scores, found, gaps = zip(*parts, strict=True)
+        ids, total = np.frombuffer(b"".join(found), np.int32), sum(scores)
         if self.n == 1:
             return ids, [total / SCALE], [[]]
         # a combination among the n best leaves the best choice only in the n - 1 parts of smallest gap
-        open_ = [(p[2], i) for i, p in enumerate(parts) if p[2] < math.inf]
-        ranked = heapq.nsmallest(self.n - 1, open_)
+        gaps = np.array(gaps, dtype=np.float64)
+        most = np.partition(gaps, self.n - 2)[self.n - 2] if len(gaps) >= self.n else math.inf
+        near = np.flatnonzero((gaps <= most) & (gaps < math.inf))
+        ranked = sorted((gaps[i], i) for i in near.tolist())[: self.n - 1]
         combos: list[tuple[int, list[tuple[int, int]]]] = [(0, [])]
         for _, i in ranked:
-            top, choices = parts[i][0], parts[i][3]
+            top, choices = parts[i][0], self.choices(names(i))
             combos = heapq.nsmallest(self.n, ((loss + (top - c[0]), [*how, (i, k)] if k else how) for loss, how in combos for k, c in enumerate(choices)), key=lambda x: x[0])
         return ids, [(total - loss) / SCALE for loss, _ in combos], [how for _, how in combos]
 
     def ids_of(self, text: str, how: list[tuple[int, int]]) -> np.ndarray:
         """The ids of one combination of encode()."""
         chosen = dict(how)
-        parts = [self.known.get(p) or self.part(p) for p in self.parts.findall(" " + text)] if text else []
-        return np.array([i for k, p in enumerate(parts) for i in p[3][chosen.get(k, 0)][1]], np.int32)
+        names, parts = self._parts_of(text) if text else (None, [])
+        return np.array([i for k, p in enumerate(parts) for i in (self.choices(names(k))[chosen[k]][1] if k in chosen else np.frombuffer(p[1], np.int32))], np.int32)
 
 
-def decode(pieces: Pieces, ids: np.ndarray | list[int]) -> str:
+def _encoder(pieces: Pieces, n: int) -> Encoder:
+    """The encoder of this process, kept with the pieces from task to task."""
+    made = pieces.__dict__.setdefault("encoders", {})
+    if n not in made:
+        made[n] = Encoder(pieces, n)
+    return made[n]
+
+
+def decoded_bytes(pieces: Pieces, ids: np.ndarray | list[int]) -> bytes:
     raw = b"".join(map(pieces.text_of.__getitem__, ids.tolist() if isinstance(ids, np.ndarray) else ids))
-    return (raw[1:] if raw[:1] == b" " else raw).decode("utf-8", "surrogatepass")
+    return raw[1:] if raw[:1] == b" " else raw
+
+
+def decode(pieces: Pieces, ids: np.ndarray | list[int]) -> str:
+    return decoded_bytes(pieces, ids).decode("utf-8", "surrogatepass")
 
 
 def encoded(df: DataFrame, pieces: Pieces, text: str = "text", keys: tuple[str, ...] = ("doc_id",), n: int = 1) -> DataFrame:
@@ -162,7 +265,7 @@ def encoded(df: DataFrame, pieces: Pieces, text: str = "text", keys: tuple[str,
     out = ", ".join([*(f"`{k}` {t}" for k, t in zip(keys, kinds, strict=True)), "ids array<int>, n_pieces long, scores array<double>, decoded_sha256 string"])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(shared.value, n)
+        encoder = _encoder(shared.value, n)
         for batch in batches:
             size = max(1, min(500, 500 * len(batch) * 4096 // max(1, batch.nbytes)))
             for a in range(0, len(batch), size):
@@ -174,7 +277,7 @@ def encoded(df: DataFrame, pieces: Pieces, text: str = "text", keys: tuple[str,
                         continue
                     got, s, _ = encoder.encode(t)
                     ids.append(got), scores.append(s)
-                    digests.append(hashlib.sha256(decode(encoder.pieces, got).encode("utf-8", "surrogatepass")).hexdigest())
+                    digests.append(hashlib.sha256(decoded_bytes(encoder.pieces, got)).hexdigest())
                 sizes = np.array([0 if x is None else len(x) for x in ids])
                 values = pa.array(np.concatenate([x for x in ids if x is not None] or [np.zeros(0, np.int32)]), pa.int32())
                 offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32())
