@@ -11,7 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.rng import gaussian_matrix, uniform
@@ -21,24 +21,20 @@ from .moments import Moments, fit, standardize
 from .perturb import linear
 
 
-def by_place(orig: DataFrame, released: DataFrame, attrs: list[str], seed: str = "place") -> DataFrame:
-    """Pairs rows by their place: the original in key order, the release in the order of a keyed draw over its key.
+def by_place(orig: DataFrame, released: DataFrame, attrs: list[str], seed: str = "place", slots: int = 1024) -> DataFrame:
+    """Pairs rows by their place, each table in the order of a keyed draw of its own.
 
-    Places are two-level (ranges of the order, then rows inside a range), so no task numbers the whole table."""
-    parts = int(orig.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    Places are two-level (slots of the draw's range, then rows inside a slot), so no task numbers a whole table."""
 
-    def numbered(df: DataFrame, order: list, names: list) -> DataFrame:
-        rows = df.repartitionByRange(parts, *order)  # a fixed number, so that both jobs see the same partitions.sortWithinPartitions(*order).select(*names).withColumn("__part", F.spark_partition_id())
-        rows = rows.withColumn("__in", F.monotonically_increasing_id() - F.shiftleft(F.col("__part").cast("long"), 33))
-        sizes = rows.groupBy("__part").agg(F.count(F.lit(1)).alias("c")).collect()
-        start, at = {}, 0
-        for r in sorted(sizes, key=lambda r: r["__part"]):
-            start[r["__part"]], at = at, at + r["c"]
-        first = F.create_map(*(F.lit(x) for kv in (start or {0: 0}).items() for x in kv))
-        return rows.withColumn("__place", first[F.col("__part")] + F.col("__in")).drop("__part", "__in")
+    def numbered(df: DataFrame, stream: str, names: list) -> DataFrame:
+        rows = df.withColumn("__u", uniform(seed, stream, F.col(KEY))).withColumn("__slot", F.floor(F.col("__u") * slots).cast("int"))
+        sizes = rows.groupBy("__slot").agg(F.count(F.lit(1)).alias("__c"))
+        before = sizes.select("__slot", F.coalesce(F.sum("__c").over(Window.orderBy("__slot").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__before"))
+        inside = F.row_number().over(Window.partitionBy("__slot").orderBy("__u", KEY))
+        return rows.join(F.broadcast(before), "__slot").select(*names, (F.col("__before") + inside).alias("__place"))
 
-    x = numbered(orig, [F.col(KEY)], [F.col(KEY), *(F.col(a).alias(f"x_{a}") for a in attrs)])
-    y = numbered(released, [uniform(seed, "order", F.col(KEY)), F.col(KEY)], [F.col(a).alias(f"y_{a}") for a in attrs])
+    x = numbered(orig, "first", [F.col(KEY), *(F.col(a).alias(f"x_{a}") for a in attrs)])
+    y = numbered(released, "order", [F.col(a).alias(f"y_{a}") for a in attrs])
     return x.join(y, "__place").drop("__place")
 
 

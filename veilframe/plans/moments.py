@@ -13,7 +13,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 FEW = 8
@@ -40,10 +40,15 @@ def mean_std(df: DataFrame, attrs: list[str], ddof: int = 1) -> DataFrame:
     return row.select(F.inline(parts))
 
 
+def correlation(x: str, y: str) -> Column:
+    """Null, not an error, where a side is constant."""
+    return F.try_divide(F.covar_samp(x, y), F.stddev_samp(x) * F.stddev_samp(y))
+
+
 def covariance_long(df: DataFrame, attrs: list[str]) -> DataFrame:
     """Long form i, j, cov (1-based) of the standardized attributes, for few attributes."""
     pairs = list(itertools.combinations_with_replacement(range(len(attrs)), 2))
-    row = df.agg(*(F.corr(attrs[i], attrs[j]).alias(f"c{i}_{j}") for i, j in pairs if i != j), F.count(F.lit(1)).alias("n"))
+    row = df.agg(*(correlation(attrs[i], attrs[j]).alias(f"c{i}_{j}") for i, j in pairs if i != j), F.count(F.lit(1)).alias("n"))
     cell = lambda i, j: F.lit(1.0) if i == j else F.col(f"c{min(i, j)}_{max(i, j)}")
     parts = [F.struct(F.lit(i + 1).alias("i"), F.lit(j + 1).alias("j"), cell(i, j).alias("cov")) for i in range(len(attrs)) for j in range(len(attrs))]
     return row.select(F.inline(F.array(*parts)))
@@ -75,7 +80,7 @@ def fit(df: DataFrame, attrs: list[str] | tuple[str, ...], ddof: int = 1, method
     if method == "pairs" or method == "auto" and n <= FEW:
         pairs = list(itertools.combinations(range(n), 2))
         sd = F.stddev_samp if ddof else F.stddev_pop
-        row = df.agg(F.count(F.lit(1)).alias("rows"), *(f(F.col(a)).alias(f"{k}{i}") for i, a in enumerate(attrs) for k, f in (("m", F.avg), ("s", sd))), *(F.corr(attrs[i], attrs[j]).alias(f"c{i}_{j}") for i, j in pairs)).first()
+        row = df.agg(F.count(F.lit(1)).alias("rows"), *(f(F.col(a)).alias(f"{k}{i}") for i, a in enumerate(attrs) for k, f in (("m", F.avg), ("s", sd))), *(correlation(attrs[i], attrs[j]).alias(f"c{i}_{j}") for i, j in pairs)).first()
         number = lambda x: float("nan") if x is None else float(x)
         cov = np.eye(n)
         for i, j in pairs:

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from ..functions.rng import normal, uniform
 from . import geometry, search
 from .matrix import KEY, NumericMatrixSpec, as_matrix
-from .moments import Moments, fit, standardize
+from .moments import Moments, correlation, fit, standardize
 
 WIDE = 12
 STEPS = ("reflect", "translate", "rotate", "expand")
@@ -171,7 +171,7 @@ def smp_grouped(df: DataFrame, spec: NumericMatrixSpec, group: str, sigma: float
         raise ValueError("grouped fits are for up to eight attributes")
     matrix = as_matrix(df, NumericMatrixSpec(spec.value_cols, spec.key_cols, spec.class_col, tuple({*spec.passthrough, group})))
     pairs = [(i, j) for i in range(n) for j in range(i + 1, n)]
-    stats = matrix.groupBy(group).agg(F.count(F.lit(1)).alias("rows"), F.array(*(F.avg(a) for a in attrs)).alias("mean"), F.array(*(F.coalesce(F.stddev_samp(a), F.lit(0.0)) for a in attrs)).alias("sd"), F.array(*([F.coalesce(F.corr(attrs[i], attrs[j]), F.lit(0.0)) for i, j in pairs] or [F.lit(0.0)])).alias("corr")).where(F.col("rows") >= least)
+    stats = matrix.groupBy(group).agg(F.count(F.lit(1)).alias("rows"), F.array(*(F.avg(a) for a in attrs)).alias("mean"), F.array(*(F.coalesce(F.stddev_samp(a), F.lit(0.0)) for a in attrs)).alias("sd"), F.array(*([F.coalesce(correlation(attrs[i], attrs[j]), F.lit(0.0)) for i, j in pairs] or [F.lit(0.0)])).alias("corr")).where(F.col("rows") >= least)
     shift = geometry.translation(n, seed)
     degrees = geometry.angles()
 

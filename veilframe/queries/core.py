@@ -306,7 +306,7 @@ def naive_true(spark, d):
     return _RES(attacks.naive(m, rel, ATTRS))
 
 
-_PLACED = f", px AS (SELECT row_number() OVER (ORDER BY key) AS k, {', '.join(f'x{i}' for i in range(4))} FROM rel), py AS (SELECT row_number() OVER (ORDER BY {uniform_sql('place', 'order', 'key')}, key) AS k, {', '.join(f'r{i}' for i in range(4))} FROM rel), placed AS (SELECT * FROM px JOIN py USING (k))"
+_PLACED = f", px AS (SELECT row_number() OVER (ORDER BY {uniform_sql('place', 'first', 'key')}, key) AS k, {', '.join(f'x{i}' for i in range(4))} FROM rel), py AS (SELECT row_number() OVER (ORDER BY {uniform_sql('place', 'order', 'key')}, key) AS k, {', '.join(f'r{i}' for i in range(4))} FROM rel), placed AS (SELECT * FROM px JOIN py USING (k))"
 
 
 @query(Q.released() + _PLACED + _std(source="placed"))
