@@ -63,10 +63,14 @@ def speedup(basic_seconds: float, optimized_seconds: float) -> float:
 
 
 def scalability(spark: SparkSession, folder: str, rows: int, limit_s: float = 3600, name: str = "SMP-cov") -> dict:
-    """One method over 28 attributes and at least so many records, cancelled after limit_s seconds."""
+    """One method over 28 attributes and about so many records (replicas, then a keyed sample), cancelled after limit_s seconds."""
+    from ..functions.rng import uniform
+    from .matrix import KEY
+
     base = datasets.li28(spark, folder)[0].count()
-    df, spec = datasets.li28(spark, folder, max(1, math.ceil(rows / base)))
-    matrix = as_matrix(df, spec).limit(rows)
+    times = max(1, math.ceil(rows / base))
+    df, spec = datasets.li28(spark, folder, times)
+    matrix = as_matrix(df, spec).where(uniform("scale", "rows", F.col(KEY), 0, "fast") < min(1.0, rows / (base * times)))
     tag = f"scalability-{rows}"
     spark.addTag(tag)
     stop = threading.Timer(limit_s, lambda: spark.interruptTag(tag))
