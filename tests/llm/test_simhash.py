@@ -77,6 +77,55 @@ def test_keep_one_and_empty(spark):
     assert S.near_groups(df.where("doc_id > 9")).count() == 0
 
 
+def jaccard(a, b, k=5):
+    sets = [set(zip(*[t.lower().split()[i:] for i in range(k)])) for t in (a, b)]
+    return len(sets[0] & sets[1]) / max(1, len(sets[0] | sets[1]))
+
+
+def test_two_errors_share_an_index():
+    g, rng = S.Golay(), np.random.default_rng(6)
+    x = rng.integers(0, 1 << 23, 400)
+    y = x ^ (1 << rng.integers(0, 23, 400)) ^ (1 << rng.integers(0, 23, 400))
+    assert all(set(a[a >= 0]) & set(b[b >= 0]) for a, b in zip(g.indices(x, 23), g.indices(y, 23)))
+
+
+def test_bucket_links_are_stars():
+    names = np.array([0, 1, 1 << 30, (1 << 30) | 1, 5, 5 << 40, 7], dtype=np.int64)
+    keys = np.array([1, 1, 1, 1, 2, 3, 3], dtype=np.int32)
+    a, b = S.bucket_links(keys, names, np.zeros(7, np.int64), 1)
+    assert len(a) <= len(names) and set(zip(a.tolist(), b.tolist())) >= {(0, 1)} and not len(S.bucket_links(keys, names, np.arange(7) * 7, 1, 0)[0])
+
+
+def test_near_copies_are_found_and_others_left(spark):
+    rng = np.random.default_rng(9)
+    words = [f"w{i}" for i in range(2000)]
+    rows, near = [], []
+    for i in range(150):
+        base = [words[k] for k in (rng.zipf(1.3, 300) % 2000)]
+        rows.append((len(rows), " ".join(base)))
+        if i % 2 == 0:
+            for at in rng.choice(300, 3, replace=False):
+                base[at] = f"new{i}{at}"
+            near.append((len(rows) - 1, len(rows)))
+            rows.append((len(rows), " ".join(base)))
+    assert min(jaccard(rows[a][1], rows[b][1]) for a, b in near) > 0.85
+    got = {r.doc_id: r.component_id for r in S.similar_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert sum(got[b] == a for a, b in near) >= 0.93 * len(near)
+    twins = {x for p in near for x in p}
+    assert all(got[i] == i for i, _ in rows if i not in twins)
+
+
+def test_near_copies_of_documents(spark, sf_small):
+    docs = spark.read.parquet(f"{sf_small}/documents.parquet").select("doc_id", "text")
+    text = dict(docs.collect())
+    got = {}
+    for r in S.similar_groups(docs).collect():
+        got.setdefault(r.component_id, []).append(r.doc_id)
+    for ids in got.values():
+        for i in ids[1:]:
+            assert max(jaccard(text[i], text[j]) for j in ids if j != i) > 0.6 or text[i].lower().split() == text[ids[0]].lower().split()
+
+
 def test_limit(spark):
     with pytest.raises(ValueError):
         S.links(spark.createDataFrame([(1,)], "fp long"), 4)
