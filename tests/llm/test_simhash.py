@@ -129,3 +129,93 @@ def test_near_copies_of_documents(spark, sf_small):
 def test_limit(spark):
     with pytest.raises(ValueError):
         S.links(spark.createDataFrame([(1,)], "fp long"), 4)
+
+
+def similar_components(texts, least=0.8):
+    """Components of all pairs by brute force: for each text the smallest index that it reaches."""
+    sets, at = [set(S.shingle_set(t.encode()).tolist()) for t in texts], list(range(len(texts)))
+
+    def find(x):
+        while at[x] != x:
+            x = at[x]
+        return x
+
+    for i in range(len(texts)):
+        for j in range(i):
+            n = len(sets[i] & sets[j])
+            if n >= least * (len(sets[i]) + len(sets[j]) - n) - 1e-9:
+                a, b = find(i), find(j)
+                at[max(a, b)] = min(a, b)
+    return [find(i) for i in range(len(texts))]
+
+
+def crowded(n, seed, edits, length=120):
+    """Texts with random edits of one base: similarities on both sides of the threshold, all in the same buckets."""
+    rng = np.random.default_rng(seed)
+    base, out = [f"w{k}" for k in rng.integers(0, 500, length)], []
+    for i in range(n):
+        text = list(base)
+        for at in rng.choice(length, int(rng.integers(1, edits)), replace=False):
+            text[at] = f"new{i}x{at}" if rng.random() < 0.5 else f"alt{at}"
+        out.append(" ".join(text))
+    return out
+
+
+def test_dense_buckets_match_brute_force(spark):
+    texts = [t for k in range(6) for t in crowded(40, k, 9)]
+    got = {r.doc_id: r.component_id for r in S.similar_groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [got[i] for i in range(len(texts))] == similar_components(texts)
+
+
+def test_real_near_copies_match_brute_force(spark, sf_small):
+    rows = sorted(tuple(r) for r in spark.read.parquet(f"{sf_small}/documents.parquet").select("doc_id", "text").collect())
+    got = {r.doc_id: r.component_id for r in S.similar_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert [got[i] for i, _ in rows] == [rows[k][0] for k in similar_components([t or "" for _, t in rows])]
+
+
+def test_cross_links_are_all_pairs_between_components():
+    rng = np.random.default_rng(4)
+    keys = np.sort(rng.integers(0, 3, 400)) * 5
+    keys[:7] = -1
+    names, roots = rng.permutation(400), rng.integers(0, 4, 400) ** 2 // 4
+    a, b = S.cross_links(keys, names, roots, np.zeros(400, np.int64))
+    want = {frozenset((int(names[i]), int(names[j]))) for i in range(400) for j in range(i) if keys[i] == keys[j] and roots[i] != roots[j]}
+    assert len(a) == len(want) and set(map(frozenset, zip(a.tolist(), b.tolist()))) == want
+
+
+def test_buckets_pass_batch_borders():
+    import pyarrow as pa
+
+    keys = np.array([1] + [2] * 900 + [3] * 5 + [4] * 300)
+    batches = lambda n: (pa.RecordBatch.from_arrays([pa.array(keys[k : k + n]), pa.array(np.arange(len(keys))[k : k + n])], names=["k", "v"]) for k in range(0, len(keys), n))
+    for n in (1, 7, 300, 901, 5000):
+        parts = list(S.whole_buckets(batches(n)))
+        assert np.concatenate([p[1] for p in parts]).tolist() == list(range(len(keys)))
+        assert all(a[0][-1] != b[0][0] for a, b in zip(parts, parts[1:]))
+
+
+def test_groups_do_not_depend_on_batch_size(spark):
+    texts = crowded(400, 7, 12)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = []
+    for size in ("10000", "64"):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+        try:
+            got.append(sorted(map(tuple, S.similar_groups(docs).collect())))
+        finally:
+            spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert got[0] == got[1] and [c for _, _, c in got[0]] == similar_components(texts)
+
+
+def test_links_are_exact_at_the_threshold(spark):
+    base = [f"w{k}" for k in range(104)]  # 100 shingles
+    texts = [" ".join(base)]
+    for at in ((10, 50), (10, 50, 90)):  # each edit inside takes five shingles of either text
+        edited = list(base)
+        for k in at:
+            edited[k] = f"new{k}{len(at)}"
+        texts.append(" ".join(edited))
+    sims = [jaccard(texts[0], t) for t in texts[1:]]
+    assert sims[0] > 0.8 > sims[1]
+    got = [r.component_id for r in S.similar_groups(spark.createDataFrame([(0, texts[0]), (1, texts[1]), (2, texts[0] + " z"), (3, texts[2])], "doc_id long, text string")).orderBy("doc_id").collect()]
+    assert got == [0, 0, 0, 3]
