@@ -201,10 +201,10 @@ def test_groups_do_not_depend_on_batch_size(spark):
     for size in ("10000", "64"):
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
         try:
-            got.append(sorted(map(tuple, S.similar_groups(docs).collect())))
+            got.append(sorted((r.doc_id, r.component_id) for r in S.similar_groups(docs).collect()))
         finally:
             spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
-    assert got[0] == got[1] and [c for _, _, c in got[0]] == similar_components(texts)
+    assert got[0] == got[1] and [c for _, c in got[0]] == similar_components(texts)
 
 
 def test_links_are_exact_at_the_threshold(spark):
@@ -219,3 +219,11 @@ def test_links_are_exact_at_the_threshold(spark):
     assert sims[0] > 0.8 > sims[1]
     got = [r.component_id for r in S.similar_groups(spark.createDataFrame([(0, texts[0]), (1, texts[1]), (2, texts[0] + " z"), (3, texts[2])], "doc_id long, text string")).orderBy("doc_id").collect()]
     assert got == [0, 0, 0, 3]
+
+
+def test_rows_without_ids_and_with_shared_ids_stay(spark):
+    text = lambda k: " ".join(f"w{k}x{i}" for i in range(60))
+    rows = [(None, text(0)), (None, text(1)), (None, text(1) + " z"), (5, text(2)), (5, text(3)), (5, text(3)), (6, text(4)), (7, text(4)), (7, text(5))]
+    got = [tuple(r) for r in S.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
+    texts = sorted(t.removesuffix(" z") for _, t in got)
+    assert texts == sorted(text(k) for k in range(6)) and (6, text(4)) in got and (7, text(5)) in got

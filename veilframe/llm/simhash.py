@@ -22,7 +22,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import byte_slices, components, table, text_bytes, written
@@ -210,10 +210,14 @@ def prefix_of(items: np.ndarray, similarity: float, common: np.ndarray) -> np.nd
     return ordered[: len(items) - math.ceil(similarity * len(items) - 1e-9) + 1]
 
 
+def text_name() -> Column:
+    """Equal texts have equal names, and a null text that of the empty one."""
+    return F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
+
+
 def named(docs: DataFrame) -> DataFrame:
-    """doc_id, name, text: equal texts have equal names, and a null text that of the empty one."""
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("name"), text.alias("text"))
+    """doc_id, name, text."""
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_name().alias("name"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
 
 
 def _sets(texts: DataFrame, words: int) -> DataFrame:
@@ -385,7 +389,9 @@ def similar(edges: DataFrame, texts: DataFrame, distinct: DataFrame, words: int,
 
 
 def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
-    """doc_id, name, component_id: groups of texts linked by at least that similarity of their sets of word shingles."""
+    """doc_id, name, component_id, group: groups of texts linked by at least that similarity of their sets of word shingles.
+
+    component_id is the smallest doc_id of a group and null if all are null; group tells all groups apart."""
     texts = named(docs)
     base = written(sketches(texts, words, similarity, common_shingles(texts, words)), "sketches")
     b = [f"b{i}" for i in range(FILTER_BITS // 64)]
@@ -397,18 +403,23 @@ def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8) ->
         roots = components(links.union(more), "similar")
     rooted = distinct.select("name", "least").join(roots, F.col("name") == F.col("node"), "left").select("name", "least", F.coalesce("root", "name").alias("root"))
     chosen = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    names = rooted.join(chosen, "root").select(F.col("name").alias("__name"), "component_id")
-    return base.select("doc_id", "name").join(names, F.col("name") == F.col("__name")).select("doc_id", "name", "component_id")
+    names = rooted.join(chosen, "root").select(F.col("name").alias("__name"), "component_id", F.col("root").alias("group"))
+    return base.select("doc_id", "name").join(names, F.col("name") == F.col("__name")).select("doc_id", "name", "component_id", "group")
 
 
 def keep_one(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
-    """docs with one document of each group of similar_groups: the one of smallest id; of repeated rows, one."""
+    """docs with one document of each group of similar_groups: the one of smallest id, null ids last; of repeated
+    rows, one. Rows are told apart by id and text, so one id may stand for several texts."""
     groups = written(similar_groups(docs, words, similarity), "groups")
-    gone = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    left = docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
-    if groups.groupBy("doc_id").count().where("count > 1").limit(1).count():
-        left = left.dropDuplicates(["doc_id"])
-    return left
+    first = F.struct(F.col("doc_id").isNull().alias("late"), F.col("doc_id").alias("id"), F.col("name").alias("of"))
+    kept = groups.groupBy("group").agg(F.min(first).alias("kept")).select(F.col("group").alias("__in"), "kept")
+    gone = groups.join(kept, F.col("group") == F.col("__in")).where(~(F.col("doc_id").eqNullSafe(F.col("kept.id")) & (F.col("name") == F.col("kept.of"))))
+    gone = gone.select(F.col("doc_id").alias("__gone"), F.col("name").alias("__of")).distinct()
+    own = docs.withColumns({"__id": F.col("doc_id").cast("long"), "__name": text_name()})
+    left = own.join(gone, F.col("__id").eqNullSafe(F.col("__gone")) & (F.col("__name") == F.col("__of")), "left_anti")
+    if groups.groupBy("doc_id", "name").count().where("count > 1").limit(1).count():
+        left = left.dropDuplicates(["__id", "__name"])
+    return left.drop("__id", "__name")
 
 
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
