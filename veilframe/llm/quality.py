@@ -1,20 +1,30 @@
 """Quality rules: plain rules, then robust multivariate outliers among each language's and source's documents.
 
 The statistics of every whole text become a transformed vector (VECTOR). For every language and source the
-location and scatter of the vectors are estimated by minimum covariance determinant: concentration steps
-from a median and median-deviation start, each step keeping the h closest vectors of the group. All rows take
-part in every step; a step is one aggregation of moments by (group, distance bin), so that a group's size
-never matters to a task. Cuts between bins stand in for the h-th distance, BINS_PER_OCTAVE bins to a doubling.
-A document is rejected if its Mahalanobis distance passes the cut. Groups of fewer than `least` documents
-take the estimate of their language, and languages of fewer that of all documents. Scatter never falls below
-FLOOR on the diagonal, for many a statistic is constant in most clean documents.
+location and scatter of the vectors are estimated by minimum covariance determinant: concentration steps from
+STARTS deterministic starts (median with quartile spreads, correlation of hyperbolic tangents, spatial signs),
+each step keeping the h closest vectors of the group, until no determinant changes; of the starts the one with
+the least determinant is taken. All rows take part in every step; a step is one aggregation of moments by
+(group, start, distance bin), so that a group's size never matters to a task. Cuts between bins stand in for the
+h-th distance, BINS_PER_OCTAVE bins to a doubling. A document is rejected if its Mahalanobis distance passes the
+cut.
+
+Most clean documents have no symbols, no repeated line and no repeated word, so the h closest vectors of a group
+may lie on a plane, in which case the estimate has no scatter across it. Such a direction, and no other, takes its
+scatter from the group's own rows off the plane: every statistic has a unit, the root mean square deviation of
+those rows that differ from the group's median, and a direction with less than DEGENERATE of the variance that
+the units give gets that variance.
+
+Groups of fewer than `least` documents (ten to a dimension) take the estimate of their language, and languages
+of fewer that of all documents.
 
 A null text has no words and fails the plain rules. Null languages or sources are groups of their own.
-Repeated rows are judged alike. An empty table gives no rows.
+Repeated rows are judged alike. An empty table gives no rows. Other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
 
+import functools
 import itertools
 import math
 from collections.abc import Iterator
@@ -25,12 +35,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, written
+from .common import drop_written, table, written
 
 STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
-#: Transformed statistics; FLOOR holds the least standard deviation of each.
+#: Transformed statistics.
 VECTOR = ("log_words", "word_length", "symbols", "dup_lines", "repeats")
-FLOOR = (1.2, 0.6, 0.15, 0.5, 0.12)
+STARTS, DEGENERATE = 3, 0.01
+#: Standard deviation, in units, that keeps a step's scatter regular.
+RIDGE = 1e-3
 #: 0.999 quantile of chi-square with five degrees of freedom.
 CHI2_CUT = 20.515
 BINS_PER_OCTAVE, OCTAVES = 8, 40
@@ -113,48 +125,116 @@ def _moments() -> list[Column]:
     return [F.count(F.lit(1)).alias("n"), *sums, *(F.sum(F.col(VECTOR[i]) * F.col(VECTOR[j])).alias(f"q_{i}_{j}") for i, j in _pairs())]
 
 
-def consistency(share: float, p: int) -> float:
-    """Factor that makes the scatter of the `share` closest normal vectors the scatter of all."""
+@functools.cache
+def _chi_square(p: int) -> tuple[np.ndarray, np.ndarray]:
+    """On a grid, the mass of a chi-square law with p degrees of freedom, and its mean over that mass's part."""
     grid = np.linspace(0, 60, 60_001)[1:]
     density = grid ** (p / 2 - 1) * np.exp(-grid / 2)
-    whole = np.cumsum(density)
-    mass = whole / whole[-1]
-    inside = mass <= share
-    return share / max(1e-9, float((grid * density)[inside].sum() / whole[-1] / p)) if share < 1 else 1.0
+    return np.cumsum(density) / density.sum(), np.cumsum(grid * density) / density.sum()
+
+
+def consistency(share: float, p: int) -> float:
+    """Factor that makes the scatter of the `share` closest normal vectors the scatter of all."""
+    if share >= 1:
+        return 1.0
+    mass, first = _chi_square(p)
+    last = int(np.searchsorted(mass, share, side="right")) - 1
+    return share / max(1e-9, float(first[max(last, 0)]) / p)
+
 
+def _regular(scatter: np.ndarray, unit: np.ndarray) -> tuple[np.ndarray, float]:
+    """Scatter with a ridge of RIDGE units, and its log determinant in units."""
+    whole = scatter + np.diag((RIDGE * unit) ** 2)
+    return whole, float(np.linalg.slogdet(whole / np.outer(unit, unit))[1])
 
-def _estimate(rows: pd.DataFrame, share: float) -> tuple[int, np.ndarray, np.ndarray, float]:
-    """Size, location, scatter and log determinant from one group's moments by bin, nearest bins first."""
-    rows = rows.sort_values("bin")
-    total = int(rows["n"].sum())
-    upto = np.cumsum(rows["n"].to_numpy())
+
+def final_scatter(scatter: np.ndarray, unit: np.ndarray) -> tuple[np.ndarray, int]:
+    """Scatter with its degenerate directions given the units' variance, and how many these are."""
+    values, turns = np.linalg.eigh(scatter / np.outer(unit, unit))
+    flat = values < DEGENERATE
+    return (turns * np.where(flat, 1.0, values)) @ turns.T * np.outer(unit, unit), int(flat.sum())
+
+
+def concentrated(bins: np.ndarray, share: float) -> tuple[int, np.ndarray, np.ndarray]:
+    """Size, location and scatter of the nearest `share` of one group. bins: rows of bin, count, sums and products."""
+    bins = bins[np.argsort(bins[:, 0])]
+    upto, p = np.cumsum(bins[:, 1]), len(VECTOR)
+    total = int(upto[-1])
     last = int(np.searchsorted(upto, max(1, math.ceil(share * total))))
-    part = rows.iloc[: last + 1]
-    n = int(part["n"].sum())
-    mean = np.array([part[f"s_{v}"].sum() / n for v in VECTOR])
-    p = len(VECTOR)
-    scatter = np.zeros((p, p))
-    for i, j in _pairs():
-        scatter[i, j] = scatter[j, i] = part[f"q_{i}_{j}"].sum() / n - mean[i] * mean[j]
-    scatter *= consistency(n / total, p)
-    least = np.array(FLOOR) ** 2
-    values, turns = np.linalg.eigh(scatter / np.sqrt(np.outer(least, least)))  # in units of the floors, no direction below one
-    whole = (turns * np.maximum(values, 1.0)) @ turns.T * np.sqrt(np.outer(least, least))
-    return total, mean, whole, float(np.linalg.slogdet(whole)[1])
+    n, sums = upto[last], bins[: last + 1, 2:].sum(axis=0) / upto[last]
+    mean, scatter = sums[:p], np.zeros((p, p))
+    for (i, j), q in zip(_pairs(), sums[p:], strict=True):
+        scatter[i, j] = scatter[j, i] = q - mean[i] * mean[j]
+    return total, mean, scatter * consistency(n / total, p)
+
 
+GROUP = ("__level", "__lang", "__source")
+MODEL = "__level string, __lang string, __source string, start int, size long, unit array<double>, mean array<double>, scatter array<double>, inverse array<double>, logdet double"
 
-MODEL = "__level string, __lang string, __source string, size long, mean array<double>, inverse array<double>, logdet double"
 
+def _model_row(head: tuple, start: int, size: int, unit: np.ndarray, mean: np.ndarray, scatter: np.ndarray, first: bool = False) -> tuple:
+    """first: a start, which any concentrated estimate replaces."""
+    whole, logdet = _regular(scatter, unit)
+    logdet = math.inf if first else logdet
+    return (*head, start, size, unit.tolist(), mean.tolist(), scatter.ravel().tolist(), np.linalg.inv(whole).ravel().tolist(), logdet)
 
-def _fit_groups(binned: DataFrame, share: float) -> DataFrame:
-    """A model row for each group, from its few rows of moments by bin."""
 
-    def fit(rows: pd.DataFrame) -> pd.DataFrame:
-        size, mean, scatter, logdet = _estimate(rows, share)
-        head = rows.iloc[0]
-        return pd.DataFrame([(head["__level"], head["__lang"], head["__source"], size, mean.tolist(), np.linalg.inv(scatter).ravel().tolist(), logdet)], columns=[x.split()[0] for x in MODEL.split(", ")])
+def _frame(rows: list[tuple], kinds: str = MODEL) -> pd.DataFrame:
+    return pd.DataFrame(rows, columns=[x.split()[0] for x in kinds.split(", ")])
 
-    return binned.groupBy("__level", "__lang", "__source").applyInPandas(fit, MODEL)
+
+def _fit_groups(near: DataFrame, share: float) -> DataFrame:
+    """A model row for each group and start. A group comes as the list of its moments by bin, of which there are few."""
+    binned = near.groupBy(*GROUP, "start", "bin").agg(F.first("unit").alias("unit"), *_moments())
+    moments = [c for c in binned.columns if c not in (*GROUP, "start", "unit")]
+    lists = binned.groupBy(*GROUP, "start").agg(F.first("unit").alias("unit"), F.collect_list(F.array(*(F.col(c).cast("double") for c in moments))).alias("bins"))
+
+    def fit(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            yield _frame([_model_row(head, start, size, np.array(unit), mean, scatter) for *head, start, unit, bins in f.itertuples(index=False) for size, mean, scatter in [concentrated(np.stack(bins), share)]])
+
+    return lists.mapInPandas(fit, MODEL)
+
+
+def start_estimates(spread: np.ndarray, tanh: np.ndarray, tanh_mean: np.ndarray, signs: np.ndarray) -> list[np.ndarray]:
+    """The starts' scatters, from mean products of the tangents and of the spatial signs of (x - middle) / spread."""
+    p = len(spread)
+    cov = tanh - np.outer(tanh_mean, tanh_mean)
+    sd = np.sqrt(np.maximum(np.diag(cov), 0.0))
+    with np.errstate(invalid="ignore", divide="ignore"):
+        corr = np.nan_to_num(cov / np.outer(sd, sd))
+    np.fill_diagonal(corr, 1.0)
+    return [m * np.outer(spread, spread) for m in (np.eye(p), corr, signs * p)]
+
+
+def _starts(long: DataFrame) -> DataFrame:
+    """MODEL rows of the starts of every group, in two aggregations."""
+    p = len(VECTOR)
+    quartiles = long.groupBy(*GROUP).agg(*(F.percentile_approx(v, F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)), 2000).alias(f"m_{v}") for v in VECTOR), F.count(F.lit(1)).alias("size"))
+    off = [F.when(F.col(v) != F.col(f"m_{v}")[1], F.pow(F.col(v) - F.col(f"m_{v}")[1], F.lit(2))) for v in VECTOR]
+    units = _by_group(long, quartiles).groupBy(*GROUP).agg(*(F.sqrt(F.avg(x)).alias(f"u_{i}") for i, x in enumerate(off)))
+    unit = F.array(*(F.coalesce(F.col(f"u_{i}"), F.lit(1.0)) for i in range(p)))
+    model = quartiles.join(units.withColumnsRenamed({k: f"{k}_" for k in GROUP}), [F.col(k).eqNullSafe(F.col(f"{k}_")) for k in GROUP])
+    model = model.select(*GROUP, "size", F.array(*(F.col(f"m_{v}")[1] for v in VECTOR)).alias("middle"), unit.alias("unit"), F.array(*(F.greatest((F.col(f"m_{v}")[2] - F.col(f"m_{v}")[0]) / 1.349, F.coalesce(F.col(f"u_{i}"), F.lit(1.0)) * 0.05) for i, v in enumerate(VECTOR))).alias("spread"))
+    model = written(model, "mcd-start")
+    z = _by_group(long, model).select(*GROUP, "size", "middle", "unit", "spread", *(((F.col(v) - F.col("middle")[i]) / F.col("spread")[i]).alias(f"z{i}") for i, v in enumerate(VECTOR)))
+    norm = F.greatest(F.sqrt(sum((F.col(f"z{i}") * F.col(f"z{i}") for i in range(p)), F.lit(0.0))), F.lit(1e-9))
+    z = z.select(*GROUP, "size", "middle", "unit", "spread", *(F.tanh(f"z{i}").alias(f"t{i}") for i in range(p)), *((F.col(f"z{i}") / norm).alias(f"w{i}") for i in range(p)))
+    sums = z.groupBy(*GROUP, "size", "middle", "unit", "spread").agg(*(F.avg(f"t{i}").alias(f"t_{i}") for i in range(p)), *(F.avg(F.col(f"{k}{i}") * F.col(f"{k}{j}")).alias(f"{k}_{i}_{j}") for k in "tw" for i, j in _pairs()))
+
+    def square(f: pd.DataFrame, k: str) -> np.ndarray:
+        return np.stack([f[f"{k}_{min(i, j)}_{max(i, j)}"].to_numpy() for i in range(p) for j in range(p)], axis=1).reshape(-1, p, p)
+
+    def begin(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            tanh, signs, means = square(f, "t"), square(f, "w"), f[[f"t_{i}" for i in range(p)]].to_numpy()
+            rows = []
+            for k, (*head, size, middle, unit, spread) in enumerate(f[[*GROUP, "size", "middle", "unit", "spread"]].itertuples(index=False)):
+                scatters = start_estimates(np.array(spread), tanh[k], means[k], signs[k])
+                rows += [_model_row(head, start, size, np.array(unit), np.array(middle), scatter, True) for start, scatter in enumerate(scatters)]
+            yield _frame(rows)
+
+    return sums.mapInPandas(begin, MODEL)
 
 
 def _distance(mean: Column, inverse: Column) -> Column:
@@ -176,30 +256,45 @@ def _levels(rows: DataFrame) -> DataFrame:
     return rows.withColumn("__g", F.explode(levels)).select("*", F.col("__g.level").alias("__level"), F.col("__g.lang").alias("__lang"), F.col("__g.source").alias("__source")).drop("__g")
 
 
-def _join_model(rows: DataFrame, model: DataFrame, broadcast_groups: int) -> DataFrame:
-    """A model has one row of about 300 bytes a group: broadcast while there are few, else joined by group."""
+def _by_group(rows: DataFrame, model: DataFrame, broadcast_groups: int = 50_000) -> DataFrame:
+    """rows with their group's model columns. A group has under 2,000 bytes: broadcast while there are few groups,
+    else joined by group."""
+    right = model.withColumnsRenamed({k: f"{k}_" for k in GROUP})
     few = model.count() <= broadcast_groups
-    right = model.select(F.col("__level").alias("__l"), F.col("__lang").alias("__la"), F.col("__source").alias("__so"), "mean", "inverse", "size")
-    on = (F.col("__level") == F.col("__l")) & F.col("__lang").eqNullSafe(F.col("__la")) & F.col("__source").eqNullSafe(F.col("__so"))
-    return rows.join(F.broadcast(right) if few else right, on).drop("__l", "__la", "__so")
+    on = (F.col("__level") == F.col("__level_")) & F.col("__lang").eqNullSafe(F.col("__lang_")) & F.col("__source").eqNullSafe(F.col("__source_"))
+    return rows.join(F.broadcast(right) if few else right, on).drop(*(f"{k}_" for k in GROUP))
+
 
+def mcd_models(rows: DataFrame, share: float = 0.75, steps: int = 12, settled: float = 1e-3) -> DataFrame:
+    """MODEL rows of least determinant by level, degenerate directions filled, and their number `degenerate`.
 
-def mcd_models(rows: DataFrame, share: float = 0.75, steps: int = 4, broadcast_groups: int = 50_000) -> DataFrame:
-    """MCD estimates by level. rows: lang, source and VECTOR, already written."""
-    keys = ["__level", "__lang", "__source"]
+    rows: lang, source and VECTOR, already written. Steps end when no log determinant falls by over `settled`."""
     long = _levels(rows)
-    middle = long.groupBy(*keys).agg(*(F.percentile_approx(v, F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)), 2000).alias(f"m_{v}") for v in VECTOR), F.count(F.lit(1)).alias("size"))
-    p = len(VECTOR)
-    spread = [F.greatest((F.col(f"m_{v}")[2] - F.col(f"m_{v}")[0]) / 1.349, F.lit(FLOOR[i])) for i, v in enumerate(VECTOR)]
-    inverse = F.array(*(1.0 / (spread[i] * spread[i]) if i == j else F.lit(0.0) for i in range(p) for j in range(p)))
-    model = written(middle.select(*keys, "size", F.array(*(F.col(f"m_{v}")[1] for v in VECTOR)).alias("mean"), inverse.alias("inverse"), F.lit(0.0).alias("logdet")), "mcd")
+    keys = [*GROUP, "start"]
+    model = written(_starts(long), "mcd").withColumn("fell", F.lit(True))
     for _ in range(steps):
-        near = _join_model(long, model, broadcast_groups).withColumn("bin", _bin(_distance(F.col("mean"), F.col("inverse"))))
-        model = written(_fit_groups(near.groupBy(*keys, "bin").agg(*_moments()), share), "mcd")
-    return model
-
-
-def judged(docs: DataFrame, share: float = 0.75, steps: int = 4, least: int = 200, cut: float = CHI2_CUT) -> DataFrame:
+        # a step that does not lower the determinant is not taken: between bins, steps can go to and fro
+        near = _by_group(long, model.select(*keys, "unit", "mean", "inverse")).withColumn("bin", _bin(_distance(F.col("mean"), F.col("inverse"))))
+        both = _fit_groups(near, share).withColumn("step", F.lit(1)).unionByName(model.drop("fell").withColumn("step", F.lit(0)))
+        columns = [c for c in model.columns if c not in (*keys, "fell")]
+        least = both.groupBy(*keys).agg(F.min_by(F.struct(*columns), F.struct("logdet", "step")).alias("m"), (F.max(F.when(F.col("step") == 0, F.col("logdet"))) - F.min("logdet") > settled).alias("fell"))
+        later = written(least.select(*keys, *(f"m.{c}" for c in columns), "fell"), "mcd")
+        drop_written(model)
+        model = later
+        if not model.where("fell").limit(1).count():
+            break
+    best = model.groupBy(*GROUP).agg(F.min_by(F.struct("start", "size", "unit", "mean", "scatter", "logdet"), F.struct("logdet", "start")).alias("best")).select(*GROUP, "best.*")
+
+    def finish(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        p = len(VECTOR)
+        for f in frames:
+            filled = [final_scatter(np.array(s).reshape(p, p), np.array(u)) for s, u in zip(f["scatter"], f["unit"], strict=True)]
+            yield f.assign(inverse=[np.linalg.inv(s).ravel().tolist() for s, _ in filled], degenerate=[d for _, d in filled])[[*GROUP, "start", "size", "unit", "mean", "scatter", "inverse", "logdet", "degenerate"]]
+
+    return written(best.mapInPandas(finish, MODEL + ", degenerate int"), "mcd")
+
+
+def judged(docs: DataFrame, share: float = 0.75, steps: int = 12, least: int = 10 * len(VECTOR), cut: float = CHI2_CUT) -> DataFrame:
     """doc_id, lang, source, statistics, base_failed, distance (squared) and kept.
 
     Documents that fail the plain rules take no part in the estimates."""
