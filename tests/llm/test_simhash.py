@@ -42,11 +42,10 @@ def test_three_errors_share_a_key():
     y = x.copy()
     for _ in range(3):
         y ^= np.uint64(1) << rng.integers(0, 64, 300).astype(np.uint64)
-    r0, k0, s0 = S.fuzzy_keys(x, g)
-    r1, k1, s1 = S.fuzzy_keys(y, g)
-    a = set(zip(r0[s0 == 0].tolist(), k0[s0 == 0].tolist()))
-    b = set(zip(r1[s1 == 1].tolist(), k1[s1 == 1].tolist()))
+    a, b = (set(zip(*(v.tolist() for v in S.fuzzy_keys(z, g, side)))) for side, z in enumerate((x, y)))
     assert {r for r, _ in a & b} == set(range(300))
+    strangers = set(zip(*(v.tolist() for v in S.fuzzy_keys(rng.integers(0, 1 << 63, 300, dtype=np.uint64), g, 1))))
+    assert len(a & strangers) == 0  # keys are over 33 bits wide
 
 
 def test_groups_match_brute_force(spark):
@@ -89,13 +88,6 @@ def test_two_errors_share_an_index():
     assert all(set(a[a >= 0]) & set(b[b >= 0]) for a, b in zip(g.indices(x, 23), g.indices(y, 23)))
 
 
-def test_bucket_links_are_stars():
-    names = np.array([0, 1, 1 << 30, (1 << 30) | 1, 5, 5 << 40, 7], dtype=np.int64)
-    keys = np.array([1, 1, 1, 1, 2, 3, 3], dtype=np.int32)
-    a, b = S.bucket_links(keys, names, np.zeros(7, np.int64), 1)
-    assert len(a) <= len(names) and set(zip(a.tolist(), b.tolist())) >= {(0, 1)} and not len(S.bucket_links(keys, names, np.arange(7) * 7, 1, 0)[0])
-
-
 def test_near_copies_are_found_and_others_left(spark):
     rng = np.random.default_rng(9)
     words = [f"w{i}" for i in range(2000)]
@@ -173,25 +165,34 @@ def test_real_near_copies_match_brute_force(spark, sf_small):
     assert [got[i] for i, _ in rows] == [rows[k][0] for k in similar_components([t or "" for _, t in rows])]
 
 
-def test_cross_links_are_all_pairs_between_components():
+def test_blocks_compare_all_components():
     rng = np.random.default_rng(4)
-    keys = np.sort(rng.integers(0, 3, 400)) * 5
-    keys[:7] = -1
-    names, roots = rng.permutation(400), rng.integers(0, 4, 400) ** 2 // 4
-    a, b = S.cross_links(keys, names, roots, np.zeros(400, np.int64))
-    want = {frozenset((int(names[i]), int(names[j]))) for i in range(400) for j in range(i) if keys[i] == keys[j] and roots[i] != roots[j]}
-    assert len(a) == len(want) and set(map(frozenset, zip(a.tolist(), b.tolist()))) == want
-
-
-def test_buckets_pass_batch_borders():
-    import pyarrow as pa
+    base = rng.permutation(10_000).astype(np.uint64)
+    for seed in range(5):
+        rng = np.random.default_rng(seed)
+        items = [np.sort(np.concatenate([rng.choice(base[:60], 45, replace=False), rng.choice(base[100:], 3, replace=False)])) for _ in range(60)]
+        roots = rng.integers(0, 20, 60)
+        asks = np.concatenate([roots != 0, np.zeros(60, bool)])  # every row once among all, those outside component 0 as askers too
+        rows = np.concatenate([np.arange(60), np.arange(60)])
+        rows, asks = rows[asks | (np.arange(120) >= 60)], asks[asks | (np.arange(120) >= 60)]
+        got = S.block_links(asks, rows, roots[rows], np.full(len(rows), 48), np.zeros((len(rows), 2), np.uint64), [items[r] for r in rows], 0.6, 128, chunk=7)
+
+        def groups(pairs):
+            at = list(range(20))
+
+            def find(x):
+                while at[x] != x:
+                    x = at[x]
+                return x
+
+            for i, j in pairs:
+                a, b = find(roots[i]), find(roots[j])
+                at[max(a, b)] = min(a, b)
+            return [find(x) for x in range(20)]
 
-    keys = np.array([1] + [2] * 900 + [3] * 5 + [4] * 300)
-    batches = lambda n: (pa.RecordBatch.from_arrays([pa.array(keys[k : k + n]), pa.array(np.arange(len(keys))[k : k + n])], names=["k", "v"]) for k in range(0, len(keys), n))
-    for n in (1, 7, 300, 901, 5000):
-        parts = list(S.whole_buckets(batches(n)))
-        assert np.concatenate([p[1] for p in parts]).tolist() == list(range(len(keys)))
-        assert all(a[0][-1] != b[0][0] for a, b in zip(parts, parts[1:]))
+        alike = lambda i, j: len(np.intersect1d(items[i], items[j])) >= 0.6 * len(np.union1d(items[i], items[j])) - 1e-9
+        assert all(alike(i, j) for i, j in got)
+        assert groups(got) == groups([(i, j) for i in range(60) for j in range(i) if alike(i, j)])
 
 
 def test_groups_do_not_depend_on_batch_size(spark):
@@ -207,6 +208,14 @@ def test_groups_do_not_depend_on_batch_size(spark):
     assert got[0] == got[1] and [c for _, c in got[0]] == similar_components(texts)
 
 
+def test_large_buckets_match_brute_force(spark, monkeypatch):
+    monkeypatch.setattr(S, "SMALL_BUCKET", 4)
+    monkeypatch.setattr(S, "BLOCK", 16)
+    texts = [t for k in range(2) for t in crowded(150, k, 12)]
+    got = {r.doc_id: r.component_id for r in S.similar_groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [got[i] for i in range(len(texts))] == similar_components(texts)
+
+
 def test_links_are_exact_at_the_threshold(spark):
     base = [f"w{k}" for k in range(104)]  # 100 shingles
     texts = [" ".join(base)]

@@ -10,12 +10,17 @@ each part is searched once and remembered, and the n best of the whole are combi
 (A model that has such a piece is refused.) Characters outside all pieces become byte pieces, so decoding
 gives the text back exactly, a literal U+2581 included.
 
-A null text has null ids; an empty text has none. A run of over LONGEST characters without a space is cut
-there, which bounds memory. Repeated rows get equal rows; other columns are not read.
+All segmentations, the best as well, come from the search. Since its rest costs are exact, every agenda entry stands
+for a complete segmentation of just that score, so the agenda needs no more entries than segmentations are still
+wanted; beside the text a search holds one number a character, however long a run without spaces is.
+
+A null text has null ids; an empty text has none. Repeated rows get equal rows; other columns, whatever their names,
+are not read.
 """
 
 from __future__ import annotations
 
+import bisect
 import hashlib
 import heapq
 import math
@@ -32,10 +37,11 @@ from pyspark.sql import functions as F
 from .common import table
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
-LONGEST = 1 << 14
 #: Log probabilities are whole multiples of 1 / SCALE, so that sums are exact and ties are ties.
 SCALE = 1 << 20
 REMEMBERED = 350_000
+#: Parts of more letters are searched each time.
+LONG = 200
 
 
 @dataclass
@@ -71,32 +77,48 @@ def load(path: str = MODEL) -> Pieces:
     return Pieces(score, byte_ids, int(logs[-1]), text_of, max(map(len, score)))
 
 
-def n_best(pieces: Pieces, part: str, n: int) -> list[tuple[int, tuple[int, ...]]]:
-    """The n best segmentations of a part as (score, ids), best first.
-
-    Of equal agenda entries the one nearest the start goes first; no position need be left more than n times."""
-    best = [0] + [-(1 << 62)] * len(part)
-    into: list[list[tuple[int, int, tuple[int, ...]]]] = [[] for _ in range(len(part) + 1)]
-    find, longest = pieces.score.get, pieces.longest
+def best_before(pieces: Pieces, part: str) -> array:
+    """The forward pass: the best score of what lies before every position."""
+    n, find, longest = len(part), pieces.score.get, pieces.longest
+    best = array("q", [-(1 << 62)]) * (n + 1)
+    best[0] = 0
     for start, letter in enumerate(part):
         base, single = best[start], False
-        for end in range(start + 1, min(len(part), start + longest) + 1):
+        for end in range(start + 1, min(n, start + longest) + 1):
             got = find(part[start:end])
             if got is not None:
                 single |= end == start + 1
-                into[end].append((start, got[0], (got[1],)))
                 if base + got[0] > best[end]:
                     best[end] = base + got[0]
         if not single:
-            raw = letter.encode("utf-8", "surrogatepass")
-            cost = pieces.byte_score * len(raw)
-            into[start + 1].append((start, cost, tuple(pieces.byte_ids[b] for b in raw)))
+            cost = pieces.byte_score * len(letter.encode("utf-8", "surrogatepass"))
             if base + cost > best[start + 1]:
                 best[start + 1] = base + cost
-    agenda, made, out, left = [(-best[-1], len(part), 0, 0, None)], 0, [], [0] * (len(part) + 1)
+    return best
+
+
+def edges_into(pieces: Pieces, part: str, at: int) -> list[tuple[int, int, tuple[int, ...]]]:
+    """(start, score, ids) of every way into a position."""
+    out, find = [], pieces.score.get
+    for start in range(at - 1, max(0, at - pieces.longest) - 1, -1):
+        got = find(part[start:at])
+        if got is not None:
+            out.append((start, got[0], (got[1],)))
+        elif start == at - 1:
+            raw = part[start].encode("utf-8", "surrogatepass")
+            out.append((start, pieces.byte_score * len(raw), tuple(pieces.byte_ids[b] for b in raw)))
+    return out
+
+
+def search(best: array | list[int], into: Callable[[int], list[tuple[int, int, tuple[int, ...]]]], n: int, ahead: int = 0) -> tuple[list[tuple[int, tuple[int, ...]]], list[int]]:
+    """The n best ways through a lattice as (score, ids), best first, from its end backward; and the scores of up to
+    `ahead` more, which the agenda's next entries are sure to lead to.
+
+    best: the best score of what lies before every position. Of equal agenda entries the older one goes first."""
+    # (minus the whole's score, age, position, score behind, ids behind), at most as many as are still wanted
+    agenda, made, out, insort = [(-best[-1], 0, len(best) - 1, 0, None)], 0, [], bisect.insort
     while agenda and len(out) < n:
-        _, at, _, behind, tail = heapq.heappop(agenda)
-        left[at] += 1
+        _, _, at, behind, tail = agenda.pop(0)
         if not at:
             ids: list[int] = []
             while tail is not None:
@@ -104,10 +126,23 @@ def n_best(pieces: Pieces, part: str, n: int) -> list[tuple[int, tuple[int, ...]
                 tail = tail[1]
             out.append((behind, tuple(ids)))
             continue
-        for start, cost, ids_ in into[at] if left[at] <= n else ():
-            made += 1
-            heapq.heappush(agenda, (-(best[start] + behind + cost), start, made, behind + cost, (ids_, tail)))
-    return out
+        room = n + ahead - len(out)
+        for start, score, ids_ in into(at):
+            score += behind
+            rank = -best[start] - score
+            if len(agenda) < room:
+                made += 1
+                insort(agenda, (rank, made, start, score, (ids_, tail)))
+            elif rank < agenda[-1][0]:
+                made += 1
+                agenda.pop()
+                insort(agenda, (rank, made, start, score, (ids_, tail)))
+    return out, [-entry[0] for entry in agenda[:ahead]]
+
+
+def n_best(pieces: Pieces, part: str, n: int) -> list[tuple[int, tuple[int, ...]]]:
+    """The n best segmentations of a part as (score, ids), best first."""
+    return search(best_before(pieces, part), lambda at: edges_into(pieces, part, at), n)[0]
 
 
 class Encoder:
@@ -116,20 +151,17 @@ class Encoder:
     def __init__(self, pieces: Pieces, n: int = 1):
         import ahocorasick
 
-        self.pieces, self.n = pieces, n
+        self.pieces, self.n, self.ahead = pieces, n, int(n > 1)  # of most parts the best and the next one's score are enough
         covered = {c for piece in pieces.score for c in piece}
         if not covered <= pieces.score.keys():
             raise ValueError("a letter of a piece is no piece itself")
         letters = "".join(sorted(covered - {" "})).translate({ord(c): "\\" + c for c in "\\]^-[&~|"})
         # no piece has a letter outside `covered`, so such a letter is a part of its own
-        self.parts = re.compile(f" *[{letters}]{{1,{LONGEST}}}| +|[^ {letters}]", re.DOTALL)
+        self.parts = re.compile(f" *[{letters}]+| +|[^ {letters}]", re.DOTALL)
         self.matcher = ahocorasick.Automaton()
         for piece, (score, i) in pieces.score.items():
-            self.matcher.add_word(piece, (len(piece), score, i))
+            self.matcher.add_word(piece, (len(piece), score, (i,)))
         self.matcher.make_automaton()
-        self.sizes = [0] * len(pieces.text_of)
-        for piece, (_, i) in pieces.score.items():
-            self.sizes[i] = len(piece)
         self.joined = {piece[i : i + 2] for piece in pieces.score for i in range(len(piece) - 1)}
         self.known: dict[str, tuple[int, bytes, float]] = {}
         self.before: dict[str, tuple[int, bytes, float]] = {}
@@ -138,35 +170,49 @@ class Encoder:
         self.lists: dict[str, list[tuple[int, tuple[int, ...]]]] = {}
 
     def _solve(self, part: str) -> tuple[int, bytes, float] | None:
-        """The search's first descent: from the end along best predecessors. What it leaves on the agenda are the
-        other pieces into the positions that it passed; the best of them is the second best segmentation."""
+        """The search on a part whose forward pass is one run of the matcher; None with a letter outside all pieces."""
         n = len(part)
+        if n > LONG:  # edges are found again when they are wanted
+            best = array("q", [0]) + array("q", [-(1 << 62)]) * n
+            for last, (size, score, _) in self.matcher.iter(part):
+                score += best[last + 1 - size]
+                if score > best[last + 1]:
+                    best[last + 1] = score
+            return None if best[n] < -(1 << 61) else self._packed(search(best, lambda at: edges_into(self.pieces, part, at), 1, self.ahead))
+        # search(best, into, 1, 1) with its agenda written out: rest costs are exact, so the first descent never turns
+        # back, and of what it leaves behind only the best score, of a second way into some position, is wanted
         low = -(1 << 62)
-        best, second, into = [0] + [low] * n, [low] * (n + 1), [0] * (n + 1)
-        for last, (size, score, i) in self.matcher.iter(part):
-            end = last + 1
-            score += best[end - size]
-            if score > best[end]:
-                second[end], best[end], into[end] = best[end], score, i
-            elif score > second[end]:
-                second[end] = score
-        if best[n] < low // 2:
+        best, next_, by = [0] + [low] * n, [low] * (n + 1), [()] * (n + 1)
+        for last, (size, score, ids) in self.matcher.iter(part):
+            last += 1
+            score += best[last - size]
+            if score > best[last]:
+                next_[last], best[last], by[last] = best[last], score, (size, ids[0])
+            elif score > next_[last]:
+                next_[last] = score
+        if best[n] < -(1 << 61):
             return None
-        ids, gap, at, sizes = [], 1 << 62, n, self.sizes
+        found, gap, at = [], 1 << 62, n
         while at:
-            i = into[at]
-            ids.append(i)
-            if best[at] - second[at] < gap:
-                gap = best[at] - second[at]
-            at -= sizes[i]
-        ids.reverse()
-        return best[n], array("i", ids).tobytes(), gap if gap < 1 << 60 else math.inf
+            size, i = by[at]
+            found.append(i)
+            if best[at] - next_[at] < gap:
+                gap = best[at] - next_[at]
+            at -= size
+        found.reverse()
+        return best[n], array("i", found).tobytes(), gap if gap < 1 << 60 else math.inf
+
+    @staticmethod
+    def _packed(found: tuple[list[tuple[int, tuple[int, ...]]], list[int]]) -> tuple[int, bytes, float]:
+        [(score, ids)], after = found
+        return score, array("i", ids).tobytes(), score - after[0] if after else math.inf
 
     def part(self, part: str) -> tuple[int, bytes, float]:
         """(best score, best ids as bytes, gap to the second best)."""
         if (made := self.before.get(part)) is None and (made := self._solve(part)) is None:
-            found = n_best(self.pieces, part, 1)[0]  # a letter outside all pieces
-            made = found[0], array("i", found[1]).tobytes(), math.inf
+            made = self._packed(search(best_before(self.pieces, part), lambda at: edges_into(self.pieces, part, at), 1, self.ahead))  # a letter outside all pieces
+        if len(part) > LONG:
+            return made
         if len(self.known) >= REMEMBERED:  # frequent parts come back from the generation before
             self.before = dict(self.known)
             self.known.clear()
@@ -176,8 +222,6 @@ class Encoder:
     def word(self, word: str) -> tuple[int, bytes, float]:
         """part() of a space and a word, which may hold letters outside all pieces and so fall into several parts."""
         if (made := self.words_before.get(word)) is None:
-            if len(word) >= LONGEST:
-                raise OverflowError
             made = None
             if 1 < len(word) <= 100 and word[-2:] not in self.joined:  # no piece spans the last two letters: a mark after a word
                 head, tail = self.words.get(word[:-1]) or self.word(word[:-1]), self.known.get(word[-1]) or self.part(word[-1])
@@ -187,6 +231,8 @@ class Encoder:
             if made is None:
                 all_ = [self.known.get(p) or self.part(p) for p in self.parts.findall(" " + word)]
                 made = sum(p[0] for p in all_), b"".join(p[1] for p in all_), min(p[2] for p in all_)
+        if len(word) > LONG:
+            return made
         if len(self.words) >= REMEMBERED:
             self.words_before = dict(self.words)
             self.words.clear()
@@ -207,15 +253,12 @@ class Encoder:
         padded = " " + text
         if "  " not in padded:
             known, words = self.words, text.split(" ")
-            try:
-                return lambda i: " " + words[i], [known.get(w) or self.word(w) for w in words]
-            except OverflowError:  # a very long word
-                pass
+            return lambda i: " " + words[i], [known.get(w) or self.word(w) for w in words]
         names, known = self.parts.findall(padded), self.known
         return names.__getitem__, [known.get(p) or self.part(p) for p in names]
 
-    def encode(self, text: str) -> tuple[np.ndarray, list[float], list[list[tuple[int, int]]]]:
-        """Best ids; the scores of the n best; and for each of these which parts take which of their choices."""
+    def encode(self, text: str) -> tuple[np.ndarray, list[float], list[list[Edit]]]:
+        """Best ids; the scores of the n best; and each of these as edits of the best ids."""
         if not text:
             return np.zeros(0, np.int32), [0.0], [[]]
         names, parts = self._parts_of(text)
@@ -228,17 +271,26 @@ class Encoder:
         most = np.partition(gaps, self.n - 2)[self.n - 2] if len(gaps) >= self.n else math.inf
         near = np.flatnonzero((gaps <= most) & (gaps < math.inf))
         ranked = sorted((gaps[i], i) for i in near.tolist())[: self.n - 1]
-        combos: list[tuple[int, list[tuple[int, int]]]] = [(0, [])]
+        combos: list[tuple[int, list[Edit]]] = [(0, [])]
         for _, i in ranked:
-            top, choices = parts[i][0], self.choices(names(i))
-            combos = heapq.nsmallest(self.n, ((loss + (top - c[0]), [*how, (i, k)] if k else how) for loss, how in combos for k, c in enumerate(choices)), key=lambda x: x[0])
-        return ids, [(total - loss) / SCALE for loss, _ in combos], [how for _, how in combos]
+            own, at, size = (scores[i], tuple(array("i", found[i]))), sum(map(len, found[:i])) // 4, len(found[i]) // 4
+            choices = [own, *(c for c in self.choices(names(i)) if c != own)]  # of ties, ids may hold another one
+            combos = heapq.nsmallest(self.n, ((loss + (choices[0][0] - c[0]), [*how, (at, size, list(c[1]))] if k else how) for loss, how in combos for k, c in enumerate(choices)), key=lambda x: x[0])
+        return ids, [(total - loss) / SCALE for loss, _ in combos], [sorted(how) for _, how in combos]
+
+
+#: (place in the best ids, how many of them go, the ids that come).
+Edit = tuple[int, int, list[int]]
+EDITS = "array<array<struct<at:int,dropped:int,ids:array<int>>>>"
+
 
-    def ids_of(self, text: str, how: list[tuple[int, int]]) -> np.ndarray:
-        """The ids of one combination of encode()."""
-        chosen = dict(how)
-        names, parts = self._parts_of(text) if text else (None, [])
-        return np.array([i for k, p in enumerate(parts) for i in (self.choices(names(k))[chosen[k]][1] if k in chosen else np.frombuffer(p[1], np.int32))], np.int32)
+def edited(ids: np.ndarray | list[int], edits: list[Edit]) -> list[int]:
+    """The segmentation that edits of the best ids stand for."""
+    out, last = [], 0
+    for at, dropped, new in sorted(map(tuple, edits)):
+        out += [*ids[last:at], *new]
+        last = at + dropped
+    return [int(i) for i in [*out, *ids[last:]]]
 
 
 def _encoder(pieces: Pieces, n: int) -> Encoder:
@@ -259,10 +311,12 @@ def decode(pieces: Pieces, ids: np.ndarray | list[int]) -> str:
 
 
 def encoded(df: DataFrame, pieces: Pieces, text: str = "text", keys: tuple[str, ...] = ("doc_id",), n: int = 1) -> DataFrame:
-    """keys, ids array<int>, n_pieces, scores array<double> (of the n best), decoded_sha256."""
+    """keys, ids array<int> of the best segmentation, n_pieces, scores array<double> of the n best, the n best
+    as EDITS of ids (see edited()), decoded_sha256."""
     shared = df.sparkSession.sparkContext.broadcast(pieces)
     kinds = [df.schema[k].dataType.simpleString() for k in keys]
-    out = ", ".join([*(f"`{k}` {t}" for k, t in zip(keys, kinds, strict=True)), "ids array<int>, n_pieces long, scores array<double>, decoded_sha256 string"])
+    out = ", ".join([*(f"`{k}` {t}" for k, t in zip(keys, kinds, strict=True)), f"ids array<int>, n_pieces long, scores array<double>, segmentations {EDITS}, decoded_sha256 string"])
+    of_edits = pa.list_(pa.list_(pa.struct([("at", pa.int32()), ("dropped", pa.int32()), ("ids", pa.list_(pa.int32()))])))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = _encoder(shared.value, n)
@@ -270,20 +324,21 @@ def encoded(df: DataFrame, pieces: Pieces, text: str = "text", keys: tuple[str,
             size = max(1, min(500, 500 * len(batch) * 4096 // max(1, batch.nbytes)))
             for a in range(0, len(batch), size):
                 part = batch.slice(a, size)
-                ids, scores, digests = [], [], []
+                ids, scores, edits, digests = [], [], [], []
                 for t in part.column(len(keys)).to_pylist():
                     if t is None:
-                        ids.append(None), scores.append(None), digests.append(None)
+                        ids.append(None), scores.append(None), edits.append(None), digests.append(None)
                         continue
-                    got, s, _ = encoder.encode(t)
+                    got, s, how = encoder.encode(t)
                     ids.append(got), scores.append(s)
+                    edits.append([[{"at": at, "dropped": d, "ids": new} for at, d, new in h] for h in how])
                     digests.append(hashlib.sha256(decoded_bytes(encoder.pieces, got)).hexdigest())
                 sizes = np.array([0 if x is None else len(x) for x in ids])
                 values = pa.array(np.concatenate([x for x in ids if x is not None] or [np.zeros(0, np.int32)]), pa.int32())
                 offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32())
                 mask = pa.array([x is None for x in ids])
                 lists = pa.ListArray.from_arrays(offsets, values, mask=mask)
-                yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(keys))), lists, pa.array(sizes, pa.int64()), pa.array(scores, pa.list_(pa.float64())), pa.array(digests, pa.string())], names=[*keys, "ids", "n_pieces", "scores", "decoded_sha256"])
+                yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(keys))), lists, pa.array(sizes, pa.int64()), pa.array(scores, pa.list_(pa.float64())), pa.array(edits, of_edits), pa.array(digests, pa.string())], names=[*keys, "ids", "n_pieces", "scores", "segmentations", "decoded_sha256"])
 
     return df.select(*keys, F.col(text).cast("string").alias("__text")).mapInArrow(work, out)
 
@@ -302,7 +357,7 @@ def decoded(df: DataFrame, pieces: Pieces, ids: str = "ids", keys: tuple[str, ..
 
 
 def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Ids of the best segmentation of every whole text, the scores of the four best, and the decoded text's digest."""
+    """Ids of the best segmentation of every whole text, the four best with their scores, and the decoded text's digest."""
     return encoded(table(spark, sf_dir, "documents").withColumn("doc_id", F.col("doc_id").cast("long")), load(), n=4)
 
 

@@ -4,9 +4,11 @@ A text's fingerprint has a bit for each of 64 positions that is set in over half
 The distinct fingerprints are cut into three segments of 22, 21 and 21 bits; each, padded to 23 bits, is
 decoded by the perfect binary Golay code to the index of its codeword, and again with each bit flipped. A
 segment thus has one to six indices, and two segments that differ in one bit share the index of either with
-the list of the other. Of at most three differing bits, two of the segments hold at most one each, so a key
-of two segments' indices brings every link together; the Hamming distance then decides exactly. The joined
-keys are 24 bits wide; each fingerprint has about 36 of them.
+the list of the other. Of at most three differing bits either some segment holds none, and then one of the other
+two holds at most one: a key of the first segment's own bits and the second's index (33 or 34 bits) brings the
+link together. Or each segment holds one: a key of all three indices (36 bits) does. The Hamming distance then
+decides exactly. A fingerprint has some 80 keys; at over 33 bits, candidates stay in proportion to the distinct
+fingerprints up to some 10^9 of them.
 
 Equal fingerprints are one node from the start, so copies are never paired. Components are found on edge
 tables (see common.components), never on the driver. A null or wordless text has fingerprint zero and links
@@ -25,7 +27,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_slices, components, table, text_bytes, written
+from .common import byte_slices, components, drop_written, table, text_bytes, written
 
 SEGMENTS = (22, 21, 21)
 # Fixed value: generator polynomial of the (23, 12) Golay code.
@@ -83,19 +85,27 @@ def segments_of(fps: np.ndarray) -> list[np.ndarray]:
     return out
 
 
-def fuzzy_keys(fps: np.ndarray, golay: Golay) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(row, key, side) of every fingerprint. Side 0 has the first segment's own index with all of the second's,
-    side 1 the reverse; two fingerprints with at most one error in both segments meet on opposite sides."""
-    lists = [golay.indices(s, bits) for s, bits in zip(segments_of(fps), SEGMENTS, strict=True)]
-    rows, keys, sides = [], [], []
-    for pair, (i, j) in enumerate(itertools.combinations(range(len(SEGMENTS)), 2)):
-        for side, (own, other) in enumerate(((lists[i][:, 0], lists[j]), (lists[j][:, 0], lists[i]))):
-            r, c = np.nonzero(other >= 0)
-            first, second = (own[r], other[r, c]) if side == 0 else (other[r, c], own[r])
-            rows.append(r)
-            keys.append(pair << 24 | first << 12 | second)
-            sides.append(np.full(len(r), side, dtype=np.int8))
-    return np.concatenate(rows), np.concatenate(keys), np.concatenate(sides)
+def fuzzy_keys(fps: np.ndarray, golay: Golay, side: int) -> tuple[np.ndarray, np.ndarray]:
+    """(row, key) of every fingerprint for one side; two fingerprints at most three bits apart meet on opposite sides.
+
+    A key of kinds 0 to 5 has one segment's bits and another's index; one of kind 6 three indices, of which
+    side 0 lists the last and side 1 the first two."""
+    parts = segments_of(fps)
+    lists = [golay.indices(s, bits) for s, bits in zip(parts, SEGMENTS, strict=True)]
+    rows, keys = [], []
+    for kind, (i, j) in enumerate(itertools.permutations(range(len(SEGMENTS)), 2)):
+        of = lists[j] if side else lists[j][:, :1]
+        r, c = np.nonzero(of >= 0)
+        rows.append(r)
+        keys.append(kind << 40 | parts[i][r] << 12 | of[r, c])
+    first, second, third = (lists[k][:, :1] if (k < 2) == (side == 0) else lists[k] for k in range(3))
+    r, c = np.nonzero(first >= 0)
+    r2, c2 = np.nonzero(second[r] >= 0)
+    r, pair = r[r2], first[r[r2], c[r2]] << 12 | second[r[r2], c2]
+    r3, c3 = np.nonzero(third[r] >= 0)
+    rows.append(r[r3])
+    keys.append(6 << 40 | pair[r3] << 12 | third[r[r3], c3])
+    return np.concatenate(rows), np.concatenate(keys)
 
 
 def fingerprint(text: bytes, words: int = 3) -> int:
@@ -133,20 +143,21 @@ def fingerprints(docs: DataFrame, words: int = 3) -> DataFrame:
 def links(distinct: DataFrame, most: int = 3) -> DataFrame:
     """Edges (a, b) between distinct fingerprints (column fp) at most three bits apart, each once or a few times."""
     if not 0 <= most <= 3:
-        raise ValueError("two segments with at most one error are only sure up to three errors")
+        raise ValueError("the keys are only sure up to three errors")
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        golay = Golay()
-        for batch in batches:
-            fps = batch.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
-            for a in range(0, len(fps), 20_000):
-                part = fps[a : a + 20_000]
-                rows, keys, sides = fuzzy_keys(part, golay)
-                yield pa.RecordBatch.from_arrays([pa.array(keys.astype(np.int32)), pa.array(sides), pa.array(part[rows].view(np.int64))], names=["key", "side", "fp"])
+    def keyed(side: int, name: str) -> DataFrame:
+        def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            golay = Golay()
+            for batch in batches:
+                fps = batch.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
+                for a in range(0, len(fps), 20_000):
+                    part = fps[a : a + 20_000]
+                    rows, keys = fuzzy_keys(part, golay, side)
+                    yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(part[rows].view(np.int64))], names=["key", name])
+
+        return distinct.select("fp").mapInArrow(work, f"key long, {name} long")
 
-    keys = distinct.select("fp").mapInArrow(work, "key int, side byte, fp long")
-    first, second = keys.where("side = 0").select("key", F.col("fp").alias("a")), keys.where("side = 1").select("key", F.col("fp").alias("b"))
-    return first.join(second, "key").where((F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= most)).select("a", "b")
+    return keyed(0, "a").join(keyed(1, "b"), "key").where((F.col("a") != F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= most)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
 def near_groups(docs: DataFrame, words: int = 3, most: int = 3) -> DataFrame:
@@ -168,14 +179,16 @@ def near_groups(docs: DataFrame, words: int = 3, most: int = 3) -> DataFrame:
 # keeps buckets small and changes no result. Of the candidates, FILTER_BITS bits drop pairs that lie MARGIN
 # deviations past the threshold; all others are decided by their whole sets.
 #
-# A first round compares each bucket's rows with its leader, a second one all rows of a bucket that are not yet in
-# one component. So every pair of a bucket is either compared or joined already.
+# A first round compares each bucket's rows with its leader, drawn by key so that buckets of the same texts have
+# different ones. A second round compares the rows of a bucket that are not yet in one component: in buckets of at
+# most SMALL_BUCKET rows by a join, in larger ones block by block, the rows outside the leader's component against
+# all, where only links between components leave a task. So every pair of a bucket is either compared or joined
+# already, and no bucket has to fit a task.
 
 FILTER_BITS, MARGIN = 128, 5
 #: A shingle is common if at least one in COMMON texts of the sample (one text in SAMPLE) and SEEN of them have it.
 COMMON, SAMPLE, SEEN = 2000, 16, 8
-#: Buckets up to this size are compared by shifts of whole columns, larger ones row by row.
-SMALL_BUCKET = 64
+SMALL_BUCKET, BLOCK = 32, 256
 _ONES = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1).astype(np.float64)
 _SPREAD = np.random.default_rng(8).integers(1 << 62, 1 << 63, FILTER_BITS // 64, dtype=np.uint64) | np.uint64(1)
 
@@ -269,123 +282,144 @@ def sketches(texts: DataFrame, words: int, similarity: float, common: np.ndarray
     return texts.select("doc_id", "name", "text").mapInArrow(work, "doc_id long, name long, size int, " + ", ".join(f"{x} long" for x in b) + ", prefix array<long>")
 
 
-def whole_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
-    """Columns of whole buckets of the sorted first column; one that goes on over a batch border waits for its end."""
-    held: list[list[np.ndarray]] = []
-    for batch in batches:
-        if not len(batch):
-            continue
-        now = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
-        cut = int(np.searchsorted(now[0], now[0][-1]))
-        if cut or (held and held[0][0][0] != now[0][0]):
-            yield [np.concatenate(x) for x in zip(*held, [c[:cut] for c in now], strict=True)]
-            held = []
-        held.append([c[cut:] for c in now])
-    if held:
-        yield [np.concatenate(x) for x in zip(*held, strict=True)]
-
-
-def _near(wide: np.ndarray, sizes: np.ndarray, i: np.ndarray, j: np.ndarray, most_wide: int, similarity: float) -> np.ndarray:
-    """Whether the rows i and j can be similar, by their sizes and bits."""
-    a, b = sizes[i], sizes[j]
-    return (np.minimum(a, b) >= similarity * np.maximum(a, b) - 1e-9) & (np.bitwise_count(wide[i] ^ wide[j]).sum(axis=1, dtype=np.int64) <= most_wide)
-
-
-def _columns(wide: np.ndarray, sizes: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
-    return wide.view(np.uint64).reshape(len(wide), -1), np.ones(len(wide)) if sizes is None else sizes
-
-
-def bucket_links(keys: np.ndarray, names: np.ndarray, wide: np.ndarray, most: int, most_wide: int = 64, sizes: np.ndarray | None = None, similarity: float = 0.8) -> tuple[np.ndarray, np.ndarray]:
-    """Star edges (leader, member) within the buckets of sorted keys: every row with the first `most` before it."""
-    wide, sizes = _columns(wide, sizes)
-    starts = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-    first = np.repeat(starts, np.diff(np.concatenate([starts, [len(keys)]])))
-    left, right = [names[:0]], [names[:0]]
-    for k in range(most):
-        rows = np.flatnonzero(np.arange(len(keys)) > first + k)
-        lead = first[rows] + k
-        fine = _near(wide, sizes, lead, rows, most_wide, similarity)
-        left.append(names[lead[fine]])
-        right.append(names[rows[fine]])
-    return np.concatenate(left), np.concatenate(right)
-
-
-def cross_links(keys: np.ndarray, names: np.ndarray, roots: np.ndarray, wide: np.ndarray, most_wide: int = 64, sizes: np.ndarray | None = None, similarity: float = 0.8) -> tuple[np.ndarray, np.ndarray]:
-    """All pairs within the buckets of sorted keys that are in different components and can be similar."""
-    wide, sizes = _columns(wide, sizes)
-    order = np.lexsort((roots, keys))
-    keys, names, roots, wide, sizes = keys[order], names[order], roots[order], wide[order], sizes[order]
-    starts = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-    ends = np.concatenate([starts[1:], [len(keys)]])
-    mixed = roots[starts] != roots[ends - 1]
-    starts, ends = starts[mixed], ends[mixed]
-    left, right = [names[:0]], [names[:0]]
-
-    def add(i: np.ndarray, j: np.ndarray) -> None:
-        fine = _near(wide, sizes, i, j, most_wide, similarity)
-        left.append(names[i[fine]])
-        right.append(names[j[fine]])
-
-    small = ends - starts <= SMALL_BUCKET
-    lengths = (ends - starts)[small]
-    rows = np.repeat(starts[small] - np.cumsum(lengths) + lengths, lengths) + np.arange(lengths.sum())
-    last = np.repeat(ends[small], lengths)
-    for shift in range(1, int(lengths.max(initial=1))):
-        inside = rows + shift < last
-        rows, last = rows[inside], last[inside]
-        apart = roots[rows] != roots[rows + shift]
-        add(rows[apart], rows[apart] + shift)
-    for a, b in zip(starts[~small].tolist(), ends[~small].tolist(), strict=True):
-        runs = np.flatnonzero(np.concatenate([[True], roots[a + 1 : b] != roots[a : b - 1], [True]])) + a
-        large = int(np.diff(runs).argmax())
-        for k in range(len(runs) - 1):  # each component but the largest: with those after it, and with the largest
-            if k == large:
-                continue
-            others = np.arange(runs[k + 1], b) if k < large else np.concatenate([np.arange(runs[large], runs[large + 1]), np.arange(runs[k + 1], b)])
-            for i in range(runs[k], runs[k + 1]):
-                add(np.full(len(others), i), others)
-    return np.concatenate(left), np.concatenate(right)
+BITS = [f"b{i}" for i in range(FILTER_BITS // 64)]
 
 
-def candidates(distinct: DataFrame, similarity: float, roots: DataFrame | None = None) -> DataFrame:
-    """Edges (a, b), a < b, that can be similar: with leaders of buckets, or with roots all between components."""
+def most_differing(similarity: float) -> int:
+    """Bits that sets of that similarity differ in at most, MARGIN deviations past what is expected."""
     angle = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    most_wide = math.ceil(FILTER_BITS * angle + MARGIN * math.sqrt(FILTER_BITS * angle * (1 - angle)))
-    b = [f"b{i}" for i in range(FILTER_BITS // 64)]
-    stars = roots is None
+    return math.ceil(FILTER_BITS * angle + MARGIN * math.sqrt(FILTER_BITS * angle * (1 - angle)))
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for keys, names, root, sizes, *wide in whole_buckets(batches):
-            several = np.concatenate([[False], keys[1:] == keys[:-1]])
-            several[:-1] |= several[1:]
-            keys, names, root, sizes, bits = keys[several], names[several], root[several], sizes[several], np.stack(wide, axis=1)[several]
-            if not len(keys):
+
+def can_be_similar(similarity: float) -> Column:
+    """Of two rows x and y, by their sizes and bits."""
+    sizes = F.least("x.size", "y.size") >= F.lit(similarity) * F.greatest("x.size", "y.size") - 1e-9
+    differing = sum((F.bit_count(F.col(f"x.{b}").bitwiseXOR(F.col(f"y.{b}"))) for b in BITS), F.lit(0))
+    return sizes & (differing <= most_differing(similarity))
+
+
+def shared_buckets(distinct: DataFrame) -> DataFrame:
+    """key, name, size, bits, n and leads (whether the row is its bucket's leader) of the buckets of several rows."""
+    keyed = distinct.select(F.explode("prefix").alias("key"), "name", "size", *BITS)
+    draw = F.xxhash64("name", "key")
+    heads = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min(draw).alias("__lead")).where("n > 1")
+    return keyed.join(heads, "key").withColumn("leads", draw == F.col("__lead")).drop("__lead")
+
+
+def leader_pairs(buckets: DataFrame, similarity: float) -> DataFrame:
+    """Edges (a, b), a < b, of every row with its buckets' leaders, if these can be similar."""
+    pairs = buckets.where("not leads").alias("x").join(buckets.where("leads").alias("y"), F.col("x.key") == F.col("y.key"))
+    return pairs.where(can_be_similar(similarity)).select(F.least("x.name", "y.name").alias("a"), F.greatest("x.name", "y.name").alias("b")).distinct()
+
+
+def mixed_buckets(buckets: DataFrame, roots: DataFrame) -> DataFrame:
+    """The rows of buckets that lie in several components, with root and the leader's root."""
+    rows = buckets.join(roots, F.col("name") == F.col("node"), "left").withColumn("root", F.coalesce("root", "name")).drop("node")
+    mixed = rows.groupBy("key").agg(F.min("root").alias("__low"), F.max("root").alias("__high"), F.max(F.when(F.col("leads"), F.col("root"))).alias("lead_root")).where("__low <> __high").drop("__low", "__high")
+    return rows.join(mixed, "key")
+
+
+def component_pairs(mixed: DataFrame, similarity: float) -> DataFrame:
+    """Edges (a, b) of all pairs in small buckets that are in different components and can be similar."""
+    small = mixed.where(F.col("n") <= SMALL_BUCKET)
+    pairs = small.alias("x").join(small.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")) & can_be_similar(similarity))
+    return pairs.select(F.least("x.name", "y.name").alias("a"), F.greatest("x.name", "y.name").alias("b")).distinct()
+
+
+def block_rows(mixed: DataFrame) -> DataFrame:
+    """The rows of large buckets, once for each pair of blocks that they take part in: key, asker and other block.
+
+    Askers are the rows outside the leader's component; a row of the leader's component need not meet its own."""
+    large = mixed.where(F.col("n") > SMALL_BUCKET).withColumn("asks", F.col("root") != F.col("lead_root"))
+    sizes = large.groupBy("key").agg(F.ceil(F.sum(F.col("asks").cast("int")) / BLOCK).cast("int").alias("askers"), F.ceil(F.max("n") / BLOCK).cast("int").alias("others"))
+    rows = large.join(sizes, "key").withColumn("draw", F.xxhash64("name", F.lit("block")))
+    own = ["key", "name", "size", *BITS, "root"]
+    first = rows.where("asks").select(*own, F.lit(True).alias("asks"), F.pmod("draw", "askers").cast("int").alias("asker"), F.explode(F.sequence(F.lit(0), F.col("others") - 1)).alias("other"))
+    second = rows.select(*own, F.lit(False).alias("asks"), F.explode(F.sequence(F.lit(0), F.col("askers") - 1)).alias("asker"), F.pmod("draw", "others").cast("int").alias("other"))
+    return first.unionByName(second)
+
+
+def block_links(asks: np.ndarray, names: np.ndarray, roots: np.ndarray, sizes: np.ndarray, bits: np.ndarray, items: list[np.ndarray], similarity: float, most_wide: int, chunk: int = 64) -> list[tuple[int, int]]:
+    """Links between components among the rows of a pair of blocks: exact similarity, and one link for components
+    that several would join."""
+    root_of: dict[int, int] = {}
+
+    def top(r: int) -> int:
+        while r in root_of:
+            r = root_of[r]
+        return r
+
+    out: list[tuple[int, int]] = []
+    others = np.flatnonzero(~asks)
+    for i in np.flatnonzero(asks).tolist():
+        fine = (np.minimum(sizes[others], sizes[i]) >= similarity * np.maximum(sizes[others], sizes[i]) - 1e-9) & (np.bitwise_count(bits[others] ^ bits[i]).sum(axis=1, dtype=np.int64) <= most_wide)
+        left, mine = others[fine & (roots[others] != roots[i])], items[i]
+        for a in range(0, len(left), chunk):
+            part = [j for j in left[a : a + chunk].tolist() if top(int(roots[j])) != top(int(roots[i]))]
+            if not part:
                 continue
-            if stars:
-                x, y = bucket_links(keys, names, bits, 1, most_wide, sizes, similarity)
-            else:
-                x, y = cross_links(keys, names, root, bits, most_wide, sizes, similarity)
-            edges = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], axis=1), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(edges[:, 0].copy()), pa.array(edges[:, 1].copy())], names=["a", "b"])
-
-    if stars:
-        rows = distinct.withColumn("root", F.col("name"))
-    else:
-        rows = distinct.join(roots, F.col("name") == F.col("node"), "left").withColumn("root", F.coalesce("root", "name"))
-    keyed = rows.select(F.explode("prefix").alias("key"), "name", "root", "size", *b).repartition("key").sortWithinPartitions("key", "name")
-    return keyed.mapInArrow(work, "a long, b long").distinct()
-
-
-def similar(edges: DataFrame, texts: DataFrame, distinct: DataFrame, words: int, similarity: float) -> DataFrame:
-    """Those edges whose whole shingle sets have that Jaccard similarity or more."""
-    edges = written(edges, "candidates")
-    ends = edges.select(F.col("a").alias("name")).union(edges.select("b")).distinct()
-    of = distinct.select("name", "least").join(ends, "name").select(F.col("name").alias("__name"), "least")
+            flat = np.concatenate([items[j] for j in part])
+            at = np.searchsorted(mine, flat)
+            hit = mine[np.minimum(at, len(mine) - 1)] == flat
+            shared = np.add.reduceat(hit, np.concatenate([[0], np.cumsum([len(items[j]) for j in part[:-1]], dtype=np.int64)]), dtype=np.int64)
+            for j, n in zip(part, shared.tolist(), strict=True):
+                x, y = top(int(roots[i])), top(int(roots[j]))
+                if x != y and n >= similarity * (len(mine) + len(items[j]) - n) - 1e-9:
+                    root_of[max(x, y)] = min(x, y)
+                    out.append((int(names[i]), int(names[j])))
+    return out
+
+
+def block_edges(rows: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Edges (a, b) of texts of that similarity, from block_rows and the texts' sets."""
+    group, most_wide = ["key", "asker", "other"], most_differing(similarity)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+
+        def finish() -> pa.RecordBatch:
+            t = pa.Table.from_batches(held)
+            column = lambda c: t.column(c).to_numpy()
+            items = [x.values.to_numpy().view(np.uint64) for x in t.column("items")]
+            bits = np.stack([column(b) for b in BITS], axis=1).view(np.uint64)
+            links = np.array(block_links(column("asks"), column("name"), column("root"), column("size"), bits, items, similarity, most_wide), dtype=np.int64).reshape(-1, 2)
+            return pa.RecordBatch.from_arrays([pa.array(links.min(axis=1, initial=np.iinfo(np.int64).max)), pa.array(links.max(axis=1, initial=np.iinfo(np.int64).min))], names=["a", "b"])
+
+        last = None
+        for batch in batches:
+            ids = np.stack([batch.column(c).to_numpy() for c in group], axis=1)
+            cuts = [0, *(np.flatnonzero((ids[1:] != ids[:-1]).any(axis=1)) + 1).tolist(), len(ids)]
+            for a, b in zip(cuts, cuts[1:], strict=False):
+                if a == b:
+                    continue
+                if held and tuple(ids[a]) != last:
+                    yield finish()
+                    held = []
+                held.append(batch.slice(a, b - a))
+                last = tuple(ids[a])
+        if held:
+            yield finish()
+
+    both = rows.join(sets.withColumnRenamed("name", "__name"), F.col("name") == F.col("__name")).drop("__name")
+    return both.repartition(*group).sortWithinPartitions(*group).mapInArrow(work, "a long, b long").distinct()
+
+
+def sets_of(names: DataFrame, texts: DataFrame, distinct: DataFrame, words: int) -> DataFrame:
+    """name and items of the named texts, each from one row that has it."""
+    of = distinct.select("name", "least").join(names, "name").select(F.col("name").alias("__name"), "least")
     wanted = texts.join(of, (F.col("name") == F.col("__name")) & F.col("doc_id").eqNullSafe(F.col("least")), "left_semi").dropDuplicates(["name"])
-    sets = written(_sets(wanted, words), "sets")
+    return _sets(wanted, words)
+
+
+def similar(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Those edges whose whole shingle sets have that Jaccard similarity or more."""
     both = edges.join(sets.select(F.col("name").alias("a"), F.col("items").alias("x")), "a").join(sets.select(F.col("name").alias("b"), F.col("items").alias("y")), "b")
     shared = both.select("a", "b", F.size(F.array_intersect("x", "y")).alias("n"), (F.size("x") + F.size("y")).alias("sum"))
-    return written(shared.where(F.col("n") >= F.lit(similarity) * (F.col("sum") - F.col("n")) - 1e-9).select("a", "b"), "similar")
+    return shared.where(F.col("n") >= F.lit(similarity) * (F.col("sum") - F.col("n")) - 1e-9).select("a", "b")
+
+
+def _ends(edges: DataFrame) -> DataFrame:
+    return edges.select(F.col("a").alias("name")).union(edges.select("b")).distinct()
 
 
 def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
@@ -394,11 +428,19 @@ def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8) ->
     component_id is the smallest doc_id of a group and null if all are null; group tells all groups apart."""
     texts = named(docs)
     base = written(sketches(texts, words, similarity, common_shingles(texts, words)), "sketches")
-    b = [f"b{i}" for i in range(FILTER_BITS // 64)]
-    distinct = written(base.groupBy("name").agg(F.min("doc_id").alias("least"), *(F.first(c).alias(c) for c in ("size", *b, "prefix"))), "names")
-    links = similar(candidates(distinct, similarity), texts, distinct, words, similarity)
+    distinct = written(base.groupBy("name").agg(F.min("doc_id").alias("least"), *(F.first(c).alias(c) for c in ("size", *BITS, "prefix"))), "names")
+    buckets = written(shared_buckets(distinct), "buckets")
+    edges = written(leader_pairs(buckets, similarity), "candidates")
+    sets = written(sets_of(_ends(edges), texts, distinct, words), "sets")
+    links = written(similar(edges, sets, similarity), "similar")
     roots = components(links, "similar")
-    more = similar(candidates(distinct, similarity, roots), texts, distinct, words, similarity)
+    mixed = written(mixed_buckets(buckets, roots), "mixed")
+    drop_written(buckets)
+    edges, rows = written(component_pairs(mixed, similarity), "candidates"), block_rows(mixed)
+    names = _ends(edges).union(mixed.where(F.col("n") > SMALL_BUCKET).select("name")).distinct()
+    drop_written(sets)
+    sets = written(sets_of(names, texts, distinct, words), "sets")
+    more = written(similar(edges, sets, similarity).union(block_edges(rows, sets, similarity)), "similar")
     if more.limit(1).count():
         roots = components(links.union(more), "similar")
     rooted = distinct.select("name", "least").join(roots, F.col("name") == F.col("node"), "left").select("name", "least", F.coalesce("root", "name").alias("root"))
