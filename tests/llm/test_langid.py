@@ -72,3 +72,14 @@ def test_edges(spark):
     assert [got[i].lang_pred for i in (1, 2, 3, 4, 5)] == ["und", "und", "und", "en", "fr"] and len(got) == 6
     assert {r.lang_pred for r in L.identify(df, None, never).collect()} == {"und"}
     assert L.training_rows(df.where("doc_id > 9"), every) == {}
+
+
+def test_no_language_is_left_out(spark):
+    rows = [(k, f"lang{k % 90}", f"wort{k % 90} " * (3 if k % 90 else 2000)) for k in range(270)]
+    df = spark.createDataFrame(rows, "doc_id long, lang string, text string")
+    got = L.training_rows(df, L.F.lit(True))
+    assert set(got) == {f"lang{k}" for k in range(90)} and len(got["lang0"]) == 3  # longer than most_bytes, yet learned
+    m = L.train(got, most_model=1 << 20)
+    assert m.bits.nbytes + m.child.nbytes <= 1 << 20 and len(m.langs) == 90
+    text = b"wort17 wort17"
+    assert m.langs[int(L.code_lengths(m, np.frombuffer(text, np.uint8), np.array([0, len(text)])).argmin())] == "lang17"

@@ -78,3 +78,14 @@ def test_mixed_rows_and_edges(spark):
     assert out.columns == df.columns
     assert Counter(r.doc_id for r in out.collect()) == Counter([1, 1, 2, 3, None])
     assert M.mixed(df.where("doc_id > 9")).count() == 0
+
+
+def test_equal_rows_keep_the_budget_and_domains_are_a_parameter(spark):
+    rows = [(1, "a b", "en", "src1", "d1")] * 7 + [(k, "x y", "en", "src1", "d2") for k in range(2, 9)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, domain string")
+    for num in range(0, 15):
+        out = M.mixed(df, part=(num, 14), epochs=1, domain=lambda source: F.col("domain")).collect()
+        assert abs(2 * len(out) - 2 * num) <= 2 and 2 * len(out) <= 28 * num // 14  # at most one document a leaf is left over
+        assert sum(r.doc_id == 1 for r in out) == num // 2
+    twice = M.mixed(df, part=(1, 2), epochs=1).collect()
+    assert len(twice) == 7

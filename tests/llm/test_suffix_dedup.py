@@ -99,6 +99,57 @@ def test_maximal_repeats_by_brute_force():
         assert {(a, b, tuple(sorted(g))) for a, b, g in D.maximal_repeats(lefts, rights, 4)} == want
 
 
+def test_windows_of_members_by_brute_force():
+    r = random.Random(5)
+    for _ in range(300):
+        n, span = r.randint(2, 9), r.randint(2, 6)
+        lefts = [bytes(r.choices(b"ab", k=r.randint(0, 6))) for _ in range(n)]
+        rights = [bytes(r.choices(b"ab", k=r.randint(1, 6))) for _ in range(n)]
+        want = {}
+        for m in range(n):
+            xs = [x for x in range(span) for o in range(n) if o != m and D.common(lefts[m], lefts[o]) >= x and D.common(rights[m], rights[o]) >= span - x]
+            xs += [x for o in range(n) if o != m for x in range(span, 7) if D.common(lefts[m], lefts[o]) >= x]
+            if xs:
+                want[m] = min(xs), max(xs)
+        assert D.repeated_windows(lefts, rights, span) == want
+
+
+def test_nested_intervals_stay_linear():
+    """A comb of ever deeper intervals, each with one member more: its neighbours grow as the members do."""
+    rights = [b"a" * k + b"b" for k in range(3000)]
+    lefts = [b"x" * 10] * 3000
+    assert sum(len(p) for _, _, p in D.merges(lefts, rights)) < 3000 * 13
+
+
+def test_groups_are_maximal_repeats_with_all_occurrences(spark):
+    texts = corpus(6, 25)
+    raws = [(t or "").encode() for t in texts]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    groups = {}
+    for r in D.repeat_groups(df).collect():
+        groups.setdefault((r.anchor, r.nr, r.length), []).append((r.doc_id, r.start))
+    where = {}
+    for k, raw in enumerate(raws):
+        for i in range(len(raw) - 399):
+            where.setdefault(raw[i : i + 400], set()).add((k, i))
+    repeated = {p for places in where.values() if len(places) > 1 for p in places}
+    told = set()
+    for (_, _, length), places in groups.items():
+        strings = {raws[k][i : i + length] for k, i in places}
+        assert len(strings) == 1 and len(places) > 1 and len(set(places)) == len(places)
+        string = strings.pop()
+        everywhere = {(k, i + d) for k, i in where[string[:400]] for d in [0] if raws[k][i : i + length] == string}
+        assert set(places) == everywhere  # all occurrences, not just neighbours
+        told |= {(k, i + d) for k, i in places for d in range(length - 399)}
+    assert told == repeated
+
+
+def test_sf_mid_documents(spark, sf_mid):
+    rows = spark.read.parquet(f"{sf_mid}/documents.parquet").select("doc_id", "text").orderBy("doc_id").collect()
+    mine = {r.doc_id: tuple(r)[1:] for r in D.op4_suffix_array_dedup(spark, sf_mid).collect()}
+    assert [mine[r.doc_id] for r in rows] == brute([r.text for r in rows])
+
+
 def test_empty(spark):
     df = spark.createDataFrame([(1, "a")], "doc_id long, text string")
     assert D.remaining(df.where("doc_id > 3")).count() == 0

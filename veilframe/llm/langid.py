@@ -8,12 +8,15 @@ the context shorter by its oldest byte gives. Below the empty context all 256 by
 score under a language is the sum over all its bytes, each read in its longest context that the tree has;
 the shortest code names the language, and the score is the posterior of that language under equal priors.
 
-The model learns from a bounded sample (`per_lang` texts a language, none above `most_bytes`), drawn by hash;
-`max_nodes` bounds the tree, rarer deep contexts going first. All statistics are tables that are looked up,
-so scoring is a few gathers a byte. Bytes that no training text holds share one column.
+The model learns from a bounded sample (about `per_lang` texts a language, fewer if they would pass `most_sample`
+bytes in all), drawn by hash among texts of at most `most_bytes`; a language with longer texts only learns from its
+shortest ones. No language is left out, however many there are: `max_nodes`, and `most_model` bytes of tables, bound
+the tree instead, rarer deep contexts going first. All statistics are tables that are looked up, so scoring is a few
+gathers a byte. Bytes that no training text holds share one column.
 
 A null text, or one without a letter, is `und` with score 0. A null lang is never learned. With nothing to
-learn from, everything is `und`. Ties go to the smaller name. Repeated rows get equal rows.
+learn from, everything is `und`. Ties go to the smaller name. Repeated rows get equal rows. Columns other than
+doc_id, text and lang, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -51,7 +54,8 @@ def _followers(streams: list[np.ndarray], depth: int, symbols: int) -> list[tupl
     return out
 
 
-def train(samples: dict[str, list[bytes]], order: int = 3, max_nodes: int = 40_000) -> Model:
+def train(samples: dict[str, list[bytes]], order: int = 3, max_nodes: int = 40_000, most_model: int = 256 << 20) -> Model:
+    """most_model: bytes of the tables, which go to every task."""
     langs = sorted(samples)
     seen = np.zeros(256, dtype=bool)
     for texts in samples.values():
@@ -60,6 +64,7 @@ def train(samples: dict[str, list[bytes]], order: int = 3, max_nodes: int = 40_0
     code = np.full(256, int(seen.sum()), dtype=np.int32)
     code[seen] = np.arange(int(seen.sum()))
     symbols = int(seen.sum()) + 1
+    max_nodes = max(1, min(max_nodes, most_model // (4 * symbols * (len(langs) + 1))))
     streams = [np.concatenate([x for t in samples[lang] for x in (code[np.frombuffer(t, np.uint8)], [-1])] or [np.array([-1])]) for lang in langs]
 
     def lengths(parent: np.ndarray, found: list[tuple[np.ndarray, np.ndarray]], contexts: np.ndarray) -> np.ndarray:
@@ -124,15 +129,20 @@ def code_lengths(model: Model, data: np.ndarray, at: np.ndarray) -> np.ndarray:
     return out
 
 
-def training_rows(docs: DataFrame, may_learn: Column, per_lang: int = 250, most_bytes: int = 8_000, max_langs: int = 64) -> dict[str, list[bytes]]:
-    """Texts of at most most_bytes by language, about per_lang each (four standard deviations above at most)."""
-    fit = docs.where(may_learn & F.col("lang").isNotNull() & (F.octet_length("text").between(1, most_bytes)))
-    counts = {r["lang"]: r["n"] for r in fit.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(max_langs).collect()}
+def training_rows(docs: DataFrame, may_learn: Column, per_lang: int = 250, most_bytes: int = 8_000, most_sample: int = 256 << 20) -> dict[str, list[bytes]]:
+    """Texts by language, about per_lang each (four standard deviations above at most)."""
+    size = F.octet_length(F.col("text").cast("string"))
+    fit = docs.where(may_learn & F.col("lang").isNotNull() & (size > 0)).select("doc_id", F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"), size.alias("size"))
+    counts = {r["lang"]: r for r in fit.groupBy("lang").agg(F.count(F.when(F.col("size") <= most_bytes, 1)).alias("n"), F.min("size").alias("least")).collect()}
     if not counts:
         return {}
-    share = F.create_map(*(x for lang, n in counts.items() for x in (F.lit(lang), F.lit(min(1.0, per_lang / n)))))
+    per_lang = max(4, min(per_lang, most_sample // (most_bytes * len(counts))))
+    spark = docs.sparkSession
+    plan = spark.createDataFrame([(k, float(min(1.0, per_lang / r["n"])) if r["n"] else 1.0, int(max(most_bytes, r["least"]))) for k, r in counts.items()], "__lang string, share double, upto long")
     draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit("learn")), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    rows = fit.where(draw < share[F.col("lang")]).select("doc_id", "lang", "text").limit(max_langs * 2 * per_lang).collect()
+    drawn = fit.join(F.broadcast(plan), F.col("lang") == F.col("__lang")).where((F.col("size") <= F.col("upto")) & (draw < F.col("share")))
+    # repeated rows have one draw: a text counts once
+    rows = drawn.select("doc_id", "lang", "text").dropDuplicates().limit(2 * per_lang * len(counts)).collect()
     out: dict[str, list[bytes]] = {}
     for r in sorted(rows, key=lambda r: (r["lang"], r["doc_id"] is None, r["doc_id"] or 0, r["text"])):
         out.setdefault(r["lang"], []).append(r["text"].encode("utf-8", "surrogatepass"))

@@ -12,12 +12,15 @@ two-level: tokens by (leaf, epoch, slice of the order), then document by documen
 the budget ends, which holds a 1/slices part of the leaf.
 
 Null domains, languages or sources are nodes of their own, named `none`. A null text has no tokens. Documents
-without tokens come along in the epochs that their leaf takes. Rows that agree in doc_id and text are drawn
-alike and each copy counts. An empty table gives no rows.
+without tokens come along in the epochs that their leaf takes. Rows that agree in doc_id, text, language and source
+stand side by side in the order and each counts; rows are told apart by 128 bits. An empty table gives no rows. Of
+further columns, mixed() keeps all, whatever their names.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -32,7 +35,7 @@ def token_count(text: Column) -> Column:
 
 
 def domain_of(source: Column) -> Column:
-    """The stand-in domain of a source named by a number: its last digit's parity."""
+    """The default: a stand-in domain of a source named by a number, its last digit's parity."""
     return F.when(source.isNull(), "none").when(source.rlike("[02468]$"), "even").when(source.rlike("[13579]$"), "odd").otherwise("other")
 
 
@@ -75,9 +78,14 @@ def leaf_budgets(leaves: DataFrame, budget: Column, epochs: int = 2) -> DataFram
     return _share(low, ["domain", "lang"], "source").select(*LEVELS, "tokens", "budget")
 
 
-def _with_leaf(docs: DataFrame) -> DataFrame:
+def _row() -> list[Column]:
+    """128 bits that tell rows of different doc_id, text, language or source apart."""
+    return [F.xxhash64("doc_id", "text", "lang", "source").alias("__row"), F.xxhash64(F.lit("row"), "source", "lang", "text", "doc_id").alias("__row2")]
+
+
+def _with_leaf(docs: DataFrame, domain: Callable[[Column], Column]) -> DataFrame:
     none = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("none"))
-    return docs.select(F.col("doc_id").alias("__id"), F.xxhash64("doc_id", "text").alias("__row"), domain_of(F.col("source").cast("string")).alias("domain"), none("lang").alias("lang"), none("source").alias("source"), token_count(F.col("text").cast("string")).alias("tokens"))
+    return docs.select(F.col("doc_id").alias("__id"), *_row(), F.coalesce(domain(F.col("source").cast("string")), F.lit("none")).alias("domain"), none("lang").alias("lang"), none("source").alias("source"), token_count(F.col("text").cast("string")).alias("tokens"))
 
 
 def tempered(leaves: DataFrame, power: float = 0.5) -> DataFrame:
@@ -87,11 +95,12 @@ def tempered(leaves: DataFrame, power: float = 0.5) -> DataFrame:
     return leaves.withColumns({"weight_domain": root("domain"), "weight_lang": root("domain", "lang"), "weight_source": root("domain", "lang", "source")})
 
 
-def draws(docs: DataFrame, seed: str = "mix", epochs: int = 2, part: tuple[int, int] = (1, 1), slices: int = 4096, weigh=tempered) -> DataFrame:
-    """(__id, __row, tokens, LEVELS, copies): how often each row is drawn; rows drawn never are left out.
+def draws(docs: DataFrame, seed: str = "mix", epochs: int = 2, part: tuple[int, int] = (1, 1), slices: int = 4096, weigh=tempered, domain: Callable[[Column], Column] = domain_of) -> DataFrame:
+    """(__id, __row, __row2, tokens, LEVELS, copies): how often each row is drawn; rows drawn never are left out.
 
-    The whole budget is part[0]/part[1] of all tokens."""
-    rows = written(_with_leaf(docs), "leaves")
+    The whole budget is part[0]/part[1] of all tokens. domain: the domain of a source; a table with a domain column
+    of its own takes `lambda source: F.col("domain")`."""
+    rows = written(_with_leaf(docs, domain), "leaves")
     keys = list(LEVELS)
     sums = rows.groupBy(*keys).agg(F.sum("tokens").alias("tokens"))
     total = sums.agg(F.coalesce(F.sum("tokens"), F.lit(0)).alias("t")).first()["t"]
@@ -107,19 +116,31 @@ def draws(docs: DataFrame, seed: str = "mix", epochs: int = 2, part: tuple[int,
     edge = by_slice.withColumn("after", F.sum("in_slice").over(upto)).where("after > rest").groupBy(*keys).agg(F.min(F.struct("slice", (F.col("after") - F.col("in_slice")).alias("before"))).alias("edge"))
     edge = edge.select(*keys, F.col("edge.slice").alias("edge"), F.col("edge.before").alias("before"))
     marked = drawn.join(F.broadcast(edge) if small else edge, keys, "left")
-    inside = marked.where("rest > 0 and (edge is null or slice < edge)").select("__id", "__row", "tokens", *keys, (F.col("full") + 1).alias("copies"))
-    run = Window.partitionBy(*keys).orderBy("place", F.col("__id").asc_nulls_first(), "__row").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    inside = marked.where("rest > 0 and (edge is null or slice < edge)").select("__id", "__row", "__row2", "tokens", *keys, (F.col("full") + 1).alias("copies"))
+    run = Window.partitionBy(*keys).orderBy("place", F.col("__id").asc_nulls_first(), "__row", "__row2").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     last = marked.where("rest > 0 and slice = edge").withColumn("upto", F.col("before") + F.sum("tokens").over(run))
-    last = last.select("__id", "__row", "tokens", *keys, (F.col("full") + (F.col("upto") <= F.col("rest")).cast("long")).alias("copies"))
-    outside = marked.where("rest = 0 or slice > edge").select("__id", "__row", "tokens", *keys, F.col("full").alias("copies"))
+    last = last.select("__id", "__row", "__row2", "tokens", *keys, (F.col("full") + (F.col("upto") <= F.col("rest")).cast("long")).alias("copies"))
+    outside = marked.where("rest = 0 or slice > edge").select("__id", "__row", "__row2", "tokens", *keys, F.col("full").alias("copies"))
     return inside.unionByName(last).unionByName(outside).where("copies > 0")
 
 
 def mixed(docs: DataFrame, **how) -> DataFrame:
-    """docs as drawn: a row for each copy, in the columns of docs."""
-    picked = draws(docs, **how).groupBy("__row").agg(F.max("copies").cast("int").alias("__copies"))
-    rows = docs.withColumn("__row", F.xxhash64("doc_id", "text")).join(picked, "__row")
-    return rows.withColumn("__copy", F.explode(F.sequence(F.lit(1), "__copies"))).select(*(F.col(f"`{c}`") for c in docs.columns))
+    """docs as drawn: a row for each copy, in the columns of docs.
+
+    Of equal rows at the end of a budget some are drawn once more than the rest; which of them does not matter, as
+    long as their number is right, so those alone are numbered."""
+    picked = draws(docs, **how).groupBy("__row", "__row2").agg(F.min("copies").alias("__least"), F.max("copies").alias("__most"), F.count(F.lit(1)).alias("__drawn"), F.sum("copies").alias("__all"))
+    own = docs.select(*(F.col(f"`{c}`") for c in docs.columns), *_row())
+    rows = own.join(picked.withColumnsRenamed({"__row": "__r1", "__row2": "__r2"}), (F.col("__row") == F.col("__r1")) & (F.col("__row2") == F.col("__r2")))
+    # equal rows that are never drawn are missing from the picked, and then the least is none
+    split = own.groupBy("__row", "__row2").agg(F.count(F.lit(1)).alias("__n")).where("__n > 1").select(F.col("__row").alias("__r3"), F.col("__row2").alias("__r4"), "__n")
+    rows = rows.join(split, (F.col("__row") == F.col("__r3")) & (F.col("__row2") == F.col("__r4")), "left")
+    even = (F.col("__least") == F.col("__most")) & (F.col("__drawn") == F.coalesce("__n", F.lit(1)))
+    n = F.coalesce("__n", F.lit(1))
+    nr = F.row_number().over(Window.partitionBy("__row", "__row2").orderBy(F.lit(0)))
+    uneven = rows.where(~even).withColumn("__copies", F.floor(F.col("__all") / n) + (nr <= F.col("__all") % n).cast("long"))
+    out = rows.where(even).withColumn("__copies", F.col("__least")).unionByName(uneven).where("__copies > 0")
+    return out.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies").cast("int")))).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,25 +2,33 @@
 
 The suffixes that matter are chosen by content. Of the GRAM-byte strings in each window of `span` bytes the
 one of smallest hash is the window's anchor, so equal windows have equal anchors at equal offsets. The
-windows of one anchor occurrence form a run; run and anchor make a segment of text. Segments are counted by a
-128-bit hash, with partial sums before the shuffle; where a whole segment repeats, so do all its windows, and
-copies of any number collapse into one segment. What is left are anchors with several distinct segments, the
-edges of repeated text. Their segments, one representative each, go to the enhanced suffix array of their
-anchor: suffixes from the anchor on are sorted, a stack scan of their common prefix lengths visits every
-common-prefix interval, the interval's members are compared in the order of what stands to their left, and a
-group whose left contexts still differ after extension is a maximal repeat of all its members.
+windows of one anchor occurrence form a run; run and anchor make a segment of text. Equal segments are one leaf of
+their anchor's suffix tree with its number of occurrences, found by a 128-bit hash with partial sums before the
+shuffle, so copies of any number cost one leaf; a leaf met more than once is a repeat as a whole. Anchors of several
+leaves, the edges of repeated text, go to the enhanced suffix array of their anchor, one representative a leaf:
+suffixes from the anchor on are sorted, and a stack scan of their common prefix lengths visits every common-prefix
+interval, inner ones first. An interval's children are merged, smaller into larger, in the order of what stands to
+the left of their anchors, so each member meets its new neighbours there just once: their common left context gives
+the group's left part, and a group whose left contexts differ beyond it, and whose right contexts differ beyond the
+interval, is a maximal repeat of all its members. The merging makes some k log k neighbours for k leaves, however
+deep the intervals nest; bytes to remove need these alone.
+
+repeat_groups() gives the maximal repeats themselves with all their occurrences. They reach as far as their anchor's
+run, so a longer repeat comes as a chain of overlapping groups, one an anchor.
 
 An anchor with over `most` distinct segments (a passage that very many texts share with different
 surroundings) is never gathered: its windows are counted by 128-bit hashes in a distributed aggregation, which
-gives the same result.
+gives the same bytes to remove, and groups of one window each.
 
 Matches never cross documents; a null text is empty. Rows that agree in doc_id and text are occurrences of
 their own, so both lose their bytes. Texts shorter than `span` bytes keep all. Very long texts are read in
-overlapping pieces; cuts of runs at the pieces' ends do not change results. An empty table gives no rows.
+overlapping pieces; cuts of runs at the pieces' ends do not change results. An empty table gives no rows. Columns
+other than doc_id and text, whatever their names, are not read.
 """
 
 from __future__ import annotations
 
+import bisect
 import functools
 import hashlib
 from collections.abc import Callable, Iterator
@@ -161,38 +169,87 @@ def intervals(shared: list[int]) -> Iterator[tuple[int, int, int]]:
             stack.append((length, first))
 
 
+class _Ordered:
+    """Members in the order of their left contexts."""
+
+    def __init__(self, lefts: list[bytes], rank: list[int], m: int):
+        self.lefts, self.rank, self.members, self.ranks = lefts, rank, [m], [rank[m]]
+
+    def add(self, m: int) -> list[int]:
+        """Puts a member in; the members it now stands between."""
+        at = bisect.bisect(self.ranks, self.rank[m])
+        beside = self.members[max(0, at - 1) : at + 1]
+        self.ranks.insert(at, self.rank[m])
+        self.members.insert(at, m)
+        return beside
+
+
+def merges(lefts: list[bytes], rights: list[bytes]) -> Iterator[tuple[int, _Ordered, list[tuple[int, int]]]]:
+    """Every common-prefix interval of the sorted rights, inner ones first: its length, its members in the order of
+    their lefts, and the pairs of its different children that came to stand side by side in that order."""
+    order = sorted(range(len(rights)), key=rights.__getitem__)
+    rank = [0] * len(lefts)
+    for k, m in enumerate(sorted(range(len(lefts)), key=lefts.__getitem__)):
+        rank[m] = k
+    whole: dict[int, tuple[int, _Ordered]] = {}  # first place of an interval -> its last place and members
+    for right, first, last in intervals([common(rights[x], rights[y]) for x, y in zip(order, order[1:], strict=False)]):
+        at, kept, pairs = first, None, []
+        while at <= last:
+            end, child = whole.pop(at, None) or (at, _Ordered(lefts, rank, order[at]))
+            at = end + 1
+            if kept is None:
+                kept = child
+                continue
+            if len(child.members) > len(kept.members):
+                kept, child = child, kept
+            own = set(child.members)
+            pairs += [(m, other) for m in child.members for other in kept.add(m) if other not in own]
+        whole[first] = last, kept
+        yield right, kept, pairs
+
+
 def maximal_repeats(lefts: list[bytes], rights: list[bytes], least: int) -> Iterator[tuple[int, int, list[int]]]:
     """Maximal repeats of at least so many bytes through one anchor: (left part, right part, all members).
 
-    lefts run backward from the anchor, rights forward. Every common-prefix interval of the sorted rights gives
-    a right part. What stands to the left of its members decides the rest: sorted by it, the members fall into
-    common-prefix intervals again, each of a left part and diverse before it; those that are also diverse
-    after the right part are maximal."""
-    order = sorted(range(len(rights)), key=rights.__getitem__)
-    rank = {m: k for k, m in enumerate(sorted(range(len(lefts)), key=lefts.__getitem__))}
-    reach = max(map(len, lefts), default=0)
-    for right, a, b in intervals([common(rights[x], rights[y]) for x, y in zip(order, order[1:], strict=False)]):
-        if right + reach < least:
-            continue
-        members = sorted(order[a : b + 1], key=rank.__getitem__)
-        shared = [common(lefts[x], lefts[y]) for x, y in zip(members, members[1:], strict=False)]
-        if right + max(shared) < least:
+    lefts run backward from the anchor, rights forward. Members of different children of an interval differ after
+    its right part; a run of the left order around two of them, as far as `left` bytes are common, is diverse to the
+    left if `left` is the least of its neighbours' common parts."""
+    for right, group, pairs in merges(lefts, rights):
+        if all(common(lefts[x], lefts[y]) + right < least for x, y in pairs):
             continue
-        for left, x, y in intervals(shared):
-            if left + right >= least:
-                group = members[x : y + 1]
-                after = {rights[m][right : right + 1] for m in group}
-                if len(after) > 1 or b"" in after:
-                    yield left, right, group
+        seen: set[tuple[int, int]] = set()
+        members, n = group.members, len(group.members)
+        near = [common(lefts[x], lefts[y]) for x, y in zip(members, members[1:], strict=False)]
+        for x, y in pairs:
+            a, b = sorted((bisect.bisect_left(group.ranks, group.rank[x]), bisect.bisect_left(group.ranks, group.rank[y])))
+            left = min(near[a:b])  # others may have come between
+            while left + right >= least:
+                while a and near[a - 1] >= left:
+                    a -= 1
+                while b < n - 1 and near[b] >= left:
+                    b += 1
+                if (left, a) in seen:
+                    break
+                seen.add((left, a))
+                yield left, right, members[a : b + 1]
+                left = max([*near[max(0, a - 1) : a], *near[b : b + 1]], default=-least - right)
 
 
 def repeated_windows(lefts: list[bytes], rights: list[bytes], span: int) -> dict[int, tuple[int, int]]:
-    """For each member with a window that another member has, the least and greatest left part of such windows."""
+    """For each member with a window that another member has, the least and greatest left part of such windows.
+
+    A member's best partner, to either side, stands beside it at some merge, so neighbours are enough."""
     out: dict[int, tuple[int, int]] = {}
-    for left, right, group in maximal_repeats(lefts, rights, span):
-        for m in group:
-            low, high = out.get(m, (span, -1))
-            out[m] = min(low, max(0, span - right)), max(high, left)
+    reach = max(map(len, lefts), default=0)
+    for right, _, pairs in merges(lefts, rights):
+        if right + reach < span:
+            continue
+        for pair in pairs:
+            left = common(lefts[pair[0]], lefts[pair[1]])
+            if left + right >= span:
+                for m in pair:
+                    low, high = out.get(m, (span, -1))
+                    out[m] = min(low, max(0, span - right)), max(high, left)
     return out
 
 
@@ -224,26 +281,23 @@ def _texts_of(needed: DataFrame, docs: DataFrame) -> DataFrame:
     return joined.select("text", "parts").mapInArrow(work, PARTS)  # repeated rows give equal parts, which are one key later
 
 
-def _in_groups(parts: DataFrame, span: int) -> DataFrame:
-    """FOUND for the anchors of few segments, each anchor's segments together in one task."""
+def _by_anchor(parts: DataFrame, one: Callable[[list[tuple[int, int]], list[bytes], list[bytes], list[int]], Iterator[tuple]], kinds: str) -> DataFrame:
+    """one(keys, lefts, rights, occurrences) gives rows of longs for each anchor, whose leaves come together in one task."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [x.split()[0] for x in FOUND.split(", ")]
+        names = [x.split()[0] for x in kinds.split(", ")]
         out: list[tuple] = []
-        group: dict[tuple, tuple] = {}
+        leaves: dict[tuple, tuple] = {}
         anchor = None
 
         def finish() -> None:
-            if len(group) > 1:
-                keys = list(group)
-                rows = list(group.values())
+            if leaves:
+                rows = list(leaves.values())
                 lefts, rights = [r[1][: r[0]][::-1] for r in rows], [r[1][r[0] :] for r in rows]
-                for m, (low, high) in repeated_windows(lefts, rights, span).items():
-                    if rows[m][2] == 1:  # those found more often are covered as a whole
-                        out.append((anchor, *keys[m], rows[m][0] - high, rows[m][0] - low))
+                out.extend((anchor, *row) for row in one(list(leaves), lefts, rights, [r[2] for r in rows]))
 
         def flush() -> pa.RecordBatch:
-            done = pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], pa.int64()) for i in range(5)], names=names)
+            done = pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], pa.int64()) for i in range(len(names))], names=names)
             out.clear()
             return done
 
@@ -252,19 +306,51 @@ def _in_groups(parts: DataFrame, span: int) -> DataFrame:
             for a, seg1, seg2, n, back, segment in zip(*columns, strict=True):
                 if a != anchor:
                     finish()
-                    group, anchor = {}, a
-                group[seg1, seg2] = (back, segment, n)
-            if len(out) > 5000:
-                yield flush()
+                    leaves, anchor = {}, a
+                leaves[seg1, seg2] = (back, segment, n)
+                if len(out) > 5000:
+                    yield flush()
         finish()
         yield flush()
 
     rows = parts.select("anchor", "seg1", "seg2", "n", "back", "segment").repartition("anchor").sortWithinPartitions("anchor")
-    return rows.mapInArrow(work, FOUND)
+    return rows.mapInArrow(work, kinds)
 
 
-def _in_the_open(parts: DataFrame, span: int) -> DataFrame:
-    """FOUND for the anchors of many segments: counts of window hashes, summed before the shuffle."""
+def _in_groups(parts: DataFrame, span: int) -> DataFrame:
+    """FOUND for the anchors of few segments."""
+
+    def one(keys: list[tuple[int, int]], lefts: list[bytes], rights: list[bytes], n: list[int]) -> Iterator[tuple]:
+        for m, (low, high) in repeated_windows(lefts, rights, span).items():
+            if n[m] == 1:  # those found more often are covered as a whole
+                yield *keys[m], len(lefts[m]) - high, len(lefts[m]) - low
+
+    return _by_anchor(parts, one, FOUND)
+
+
+MEMBERS = "anchor long, nr long, seg1 long, seg2 long, low long, length long"
+
+
+def _groups(parts: DataFrame, span: int) -> DataFrame:
+    """MEMBERS of the maximal repeats of each anchor of few segments: low is where the repeat begins in the segment."""
+
+    def one(keys: list[tuple[int, int]], lefts: list[bytes], rights: list[bytes], n: list[int]) -> Iterator[tuple]:
+        nr, whole = 0, {m for m, k in enumerate(n) if k > 1}
+        for left, right, group in maximal_repeats(lefts, rights, span):
+            whole -= {m for m in group if left == len(lefts[m]) and right == len(rights[m])}
+            for m in group:
+                yield nr, *keys[m], len(lefts[m]) - left, left + right
+            nr += 1
+        for m in sorted(whole):  # a leaf that no larger group holds as a whole
+            yield nr, *keys[m], 0, len(lefts[m]) + len(rights[m])
+            nr += 1
+
+    return _by_anchor(parts, one, MEMBERS)
+
+
+def _open_windows(parts: DataFrame, span: int) -> DataFrame:
+    """The windows that occur twice or more of the anchors of many segments: counts of window hashes, summed before
+    the shuffle."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         one, two = rollings()
@@ -284,19 +370,31 @@ def _in_the_open(parts: DataFrame, span: int) -> DataFrame:
 
     windows = parts.select("anchor", "seg1", "seg2", "segment").mapInArrow(work, "anchor long, seg1 long, seg2 long, w1 long, w2 long, place long")
     twice = windows.groupBy("anchor", "w1", "w2").agg(F.count(F.lit(1)).alias("c")).where("c > 1").drop("c")
-    return windows.join(twice, ["anchor", "w1", "w2"]).groupBy("anchor", "seg1", "seg2").agg(F.min("place").alias("low"), F.max("place").alias("high"))
+    return windows.join(twice, ["anchor", "w1", "w2"])
 
 
-def covered(docs: DataFrame, span: int = 400, most: int = 20_000) -> DataFrame:
-    """(row, doc_id, cover): for each text with bytes to remove, stretches (start, end) that may overlap."""
+def _in_the_open(parts: DataFrame, span: int) -> DataFrame:
+    """FOUND for the anchors of many segments."""
+    return _open_windows(parts, span).groupBy("anchor", "seg1", "seg2").agg(F.min("place").alias("low"), F.max("place").alias("high"))
+
+
+def _leaves(docs: DataFrame, span: int, all_of_several: bool = False) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Runs; segments with their number n and a representative; PARTS of the anchors of several segments.
+
+    Anchors whose segments are all repeated have nothing to compare for coverage: they come with all_of_several only."""
     if not 2 * GRAM <= span <= 4000:
         raise ValueError("span must be 64 to 4000 bytes")
     runs = written(anchor_runs(docs, span), "runs")
     first = F.min(F.struct("row", "doc_id", "p", "s0", "s1")).alias("first")
     segments = written(runs.groupBy("anchor", "seg1", "seg2").agg(F.count(F.lit(1)).alias("n"), first), "segments")
-    mixed = segments.groupBy("anchor").agg(F.count(F.lit(1)).alias("d"), F.min("n").alias("rarest")).where("d > 1 and rarest = 1").drop("rarest")
+    mixed = segments.groupBy("anchor").agg(F.count(F.lit(1)).alias("d"), F.min("n").alias("rarest")).where("d > 1" if all_of_several else "d > 1 and rarest = 1").drop("rarest")
     needed = segments.join(mixed, "anchor").select("anchor", "seg1", "seg2", "n", "d", "first.row", "first.doc_id", (F.col("first.p") - F.col("first.s0")).alias("back"), "first.s0", (F.col("first.s1") + span).alias("s1"))
-    parts = written(_texts_of(needed, docs), "parts")
+    return runs, segments, written(_texts_of(needed, docs), "parts")
+
+
+def covered(docs: DataFrame, span: int = 400, most: int = 20_000) -> DataFrame:
+    """(row, doc_id, cover): for each text with bytes to remove, stretches (start, end) that may overlap."""
+    runs, segments, parts = _leaves(docs, span)
     found = _in_groups(parts.where(F.col("d") <= most), span).unionByName(_in_the_open(parts.where(F.col("d") > most), span))
     whole = segments.where("n > 1").select("anchor", "seg1", "seg2", F.lit(0).cast("long").alias("low"), (F.col("first.s1") - F.col("first.s0")).alias("high"))
     known = whole.unionByName(found)
@@ -304,6 +402,18 @@ def covered(docs: DataFrame, span: int = 400, most: int = 20_000) -> DataFrame:
     return stretches.groupBy("row", "doc_id").agg(F.collect_list(F.struct((F.col("s0") + F.col("low")).alias("start"), (F.col("s0") + F.col("high") + span).alias("end"))).alias("cover"))
 
 
+def repeat_groups(docs: DataFrame, span: int = 400, most: int = 20_000) -> DataFrame:
+    """The maximal repeats of at least `span` bytes with all their occurrences: anchor and nr (together the group's
+    name), length in bytes, doc_id, start (byte of the text)."""
+    runs, segments, parts = _leaves(docs, span, True)
+    groups = _groups(parts.where(F.col("d") <= most), span)
+    alone = segments.join(segments.groupBy("anchor").agg(F.count(F.lit(1)).alias("d")).where("d = 1"), "anchor").where("n > 1")
+    alone = alone.select("anchor", F.lit(0).cast("long").alias("nr"), "seg1", "seg2", F.lit(0).cast("long").alias("low"), (F.col("first.s1") - F.col("first.s0") + span).alias("length"))
+    windows = _open_windows(parts.where(F.col("d") > most), span).select("anchor", F.xxhash64("w1", "w2").alias("nr"), "seg1", "seg2", F.col("place").alias("low"), F.lit(span).cast("long").alias("length"))
+    found = groups.unionByName(alone).unionByName(windows)
+    return runs.join(found, ["anchor", "seg1", "seg2"]).select("anchor", "nr", "length", "doc_id", (F.col("s0") + F.col("low")).alias("start"))
+
+
 KEPT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
