@@ -19,7 +19,7 @@ from __future__ import annotations
 
 import itertools
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -176,21 +176,21 @@ def near_groups(docs: DataFrame, words: int = 3, most: int = 3) -> DataFrame:
 # Links are exact: two texts are linked if the Jaccard similarity of their sets of shingles reaches the threshold.
 # Candidates share a shingle among the first n - ceil(similarity * n) + 1 of their n, in one order for all texts;
 # no pair at the threshold can avoid that. Shingles that a sample shows to be common come last in the order, which
-# keeps buckets small and changes no result. Of the candidates, FILTER_BITS bits drop pairs that lie MARGIN
-# deviations past the threshold; all others are decided by their whole sets.
+# keeps buckets small and changes no result. Of the candidates, FILTER_BITS bits and then, for what passes, WIDE_BITS
+# bits drop pairs that lie MARGIN deviations past the threshold; all others are decided by their whole sets.
 #
 # A first round compares each bucket's rows with its leader, drawn by key so that buckets of the same texts have
 # different ones. A second round compares the rows of a bucket that are not yet in one component: in buckets of at
 # most SMALL_BUCKET rows by a join, in larger ones block by block, the rows outside the leader's component against
-# all, where only links between components leave a task. So every pair of a bucket is either compared or joined
+# all, where only rows with a likely partner fetch their sets and only links between components leave a task. So every pair of a bucket is either compared or joined
 # already, and no bucket has to fit a task.
 
-FILTER_BITS, MARGIN = 128, 5
+FILTER_BITS, WIDE_BITS, MARGIN = 128, 1024, 5
 #: A shingle is common if at least one in COMMON texts of the sample (one text in SAMPLE) and SEEN of them have it.
 COMMON, SAMPLE, SEEN = 2000, 16, 8
 SMALL_BUCKET, BLOCK = 32, 256
 _ONES = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1).astype(np.float64)
-_SPREAD = np.random.default_rng(8).integers(1 << 62, 1 << 63, FILTER_BITS // 64, dtype=np.uint64) | np.uint64(1)
+_SPREAD = np.random.default_rng(8).integers(1 << 62, 1 << 63, WIDE_BITS // 64, dtype=np.uint64) | np.uint64(1)
 
 
 def _majority(rows: np.ndarray) -> np.ndarray:
@@ -210,9 +210,9 @@ def shingle_set(text: bytes, words: int = 5) -> np.ndarray:
     return np.unique(np.fromiter((xxhash.xxh3_64_intdigest(joined[a : b - 1]) for a, b in zip(at[: len(parts) - words + 1], at[words:], strict=True)), np.uint64))
 
 
-def signature(items: np.ndarray) -> np.ndarray:
-    """FILTER_BITS bits of a shingle set, as signed longs."""
-    spread = items[:, None] * _SPREAD
+def signature(items: np.ndarray, bits: int = FILTER_BITS) -> np.ndarray:
+    """So many bits of a shingle set, as signed longs."""
+    spread = items[:, None] * _SPREAD[: bits // 64]
     return _majority((spread ^ (spread >> np.uint64(31))).view(np.uint8).reshape(len(items), -1)).view(np.int64)
 
 
@@ -233,17 +233,18 @@ def named(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_name().alias("name"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
 
 
-def _sets(texts: DataFrame, words: int) -> DataFrame:
-    """name and items, the whole shingle set, from name and text."""
+def _sets(texts: DataFrame, words: int, wide: bool = False) -> DataFrame:
+    """name and items, the whole shingle set, from name and text; if asked for, wide: its WIDE_BITS bits."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, at = text_bytes(batch.column(1))
             for a, b in byte_slices(at, 4 << 20):
                 sets = [shingle_set(data[x:y].tobytes(), words) for x, y in zip(at[a:b], at[a + 1 : b + 1], strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), _lists(sets)], names=["name", "items"])
+                more = [_lists([signature(x, WIDE_BITS) for x in sets])] * wide
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), _lists(sets), *more], names=["name", "items", "wide"][: 2 + wide])
 
-    return texts.select("name", "text").mapInArrow(work, "name long, items array<long>")
+    return texts.select("name", "text").mapInArrow(work, "name long, items array<long>" + ", wide array<long>" * wide)
 
 
 def _lists(arrays: list[np.ndarray]) -> pa.Array:
@@ -285,10 +286,10 @@ def sketches(texts: DataFrame, words: int, similarity: float, common: np.ndarray
 BITS = [f"b{i}" for i in range(FILTER_BITS // 64)]
 
 
-def most_differing(similarity: float) -> int:
-    """Bits that sets of that similarity differ in at most, MARGIN deviations past what is expected."""
+def most_differing(similarity: float, bits: int = FILTER_BITS) -> int:
+    """Of so many bits, those that sets of that similarity differ in at most, MARGIN deviations past what is expected."""
     angle = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    return math.ceil(FILTER_BITS * angle + MARGIN * math.sqrt(FILTER_BITS * angle * (1 - angle)))
+    return math.ceil(bits * angle + MARGIN * math.sqrt(bits * angle * (1 - angle)))
 
 
 def can_be_similar(similarity: float) -> Column:
@@ -332,8 +333,9 @@ def block_rows(mixed: DataFrame) -> DataFrame:
     Askers are the rows outside the leader's component; a row of the leader's component need not meet its own."""
     large = mixed.where(F.col("n") > SMALL_BUCKET).withColumn("asks", F.col("root") != F.col("lead_root"))
     sizes = large.groupBy("key").agg(F.ceil(F.sum(F.col("asks").cast("int")) / BLOCK).cast("int").alias("askers"), F.ceil(F.max("n") / BLOCK).cast("int").alias("others"))
-    rows = large.join(sizes, "key").withColumn("draw", F.xxhash64("name", F.lit("block")))
-    own = ["key", "name", "size", *BITS, "root"]
+    of = large.groupBy(F.col("name").alias("__name")).agg(F.collect_list("key").alias("keys"))  # no longer than a text's prefix
+    rows = large.join(sizes, "key").join(of, F.col("name") == F.col("__name")).withColumn("draw", F.xxhash64("name", F.lit("block")))
+    own = ["key", "name", "size", *BITS, "root", "keys"]
     first = rows.where("asks").select(*own, F.lit(True).alias("asks"), F.pmod("draw", "askers").cast("int").alias("asker"), F.explode(F.sequence(F.lit(0), F.col("others") - 1)).alias("other"))
     second = rows.select(*own, F.lit(False).alias("asks"), F.explode(F.sequence(F.lit(0), F.col("askers") - 1)).alias("asker"), F.pmod("draw", "others").cast("int").alias("other"))
     return first.unionByName(second)
@@ -370,51 +372,91 @@ def block_links(asks: np.ndarray, names: np.ndarray, roots: np.ndarray, sizes: n
     return out
 
 
-def block_edges(rows: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
-    """Edges (a, b) of texts of that similarity, from block_rows and the texts' sets."""
-    group, most_wide = ["key", "asker", "other"], most_differing(similarity)
+BLOCK_KEY = ["key", "asker", "other"]
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.RecordBatch] = []
 
-        def finish() -> pa.RecordBatch:
-            t = pa.Table.from_batches(held)
-            column = lambda c: t.column(c).to_numpy()
-            items = [x.values.to_numpy().view(np.uint64) for x in t.column("items")]
-            bits = np.stack([column(b) for b in BITS], axis=1).view(np.uint64)
-            links = np.array(block_links(column("asks"), column("name"), column("root"), column("size"), bits, items, similarity, most_wide), dtype=np.int64).reshape(-1, 2)
-            return pa.RecordBatch.from_arrays([pa.array(links.min(axis=1, initial=np.iinfo(np.int64).max)), pa.array(links.max(axis=1, initial=np.iinfo(np.int64).min))], names=["a", "b"])
+def _by_block(rows: DataFrame, one: Callable[[pa.Table], pa.RecordBatch], kinds: str) -> DataFrame:
+    """one() on the rows of every pair of blocks, of which a task holds one at a time."""
 
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
         last = None
         for batch in batches:
-            ids = np.stack([batch.column(c).to_numpy() for c in group], axis=1)
+            ids = np.stack([batch.column(c).to_numpy() for c in BLOCK_KEY], axis=1)
             cuts = [0, *(np.flatnonzero((ids[1:] != ids[:-1]).any(axis=1)) + 1).tolist(), len(ids)]
             for a, b in zip(cuts, cuts[1:], strict=False):
                 if a == b:
                     continue
                 if held and tuple(ids[a]) != last:
-                    yield finish()
+                    yield one(pa.Table.from_batches(held))
                     held = []
                 held.append(batch.slice(a, b - a))
                 last = tuple(ids[a])
         if held:
-            yield finish()
+            yield one(pa.Table.from_batches(held))
+
+    return rows.repartition(*BLOCK_KEY).sortWithinPartitions(*BLOCK_KEY).mapInArrow(work, kinds)
+
+
+def rows_with_partners(rows: DataFrame, similarity: float, sets: DataFrame | None = None) -> DataFrame:
+    """Those block_rows that can be similar to a row across, of another component: by FILTER_BITS, or with sets by
+    WIDE_BITS. Texts' sets are read for these only. Rows that meet in several large buckets do so in the first."""
+    wide = sets is not None
+    most, names = most_differing(similarity, WIDE_BITS if wide else FILTER_BITS), [*BLOCK_KEY, "name", "size", *BITS, "root", "asks"]
+
+    def one(t: pa.Table) -> pa.RecordBatch:
+        asks, sizes, roots = (t.column(c).to_numpy() for c in ("asks", "size", "root"))
+        bits = np.stack([t.column(b).to_numpy() for b in BITS], axis=1) if not wide else t.column("wide").combine_chunks().flatten().to_numpy().reshape(t.num_rows, -1)
+        i, j = np.flatnonzero(asks), np.flatnonzero(~asks)
+        near = (np.minimum(sizes[i][:, None], sizes[j]) >= similarity * np.maximum(sizes[i][:, None], sizes[j]) - 1e-9) & (roots[i][:, None] != roots[j])
+        differing = np.zeros(near.shape, dtype=np.int32)
+        for k in range(bits.shape[1]):
+            differing += np.bitwise_count(bits[i, k].view(np.uint64)[:, None] ^ bits[j, k].view(np.uint64))
+        near &= differing <= most
+        if not wide and near.any():
+            lists, own = t.column("keys").combine_chunks(), t.column("key")[0].as_py()
+            keys, of = lists.flatten().to_numpy(), np.repeat(np.arange(t.num_rows), lists.value_lengths().to_numpy())
+            names_, code = np.unique(keys[keys < own], return_inverse=True)
+            has = np.zeros((t.num_rows, len(names_)), dtype=np.float32)
+            has[of[keys < own], code] = 1
+            both = has[i].any(axis=0) & has[j].any(axis=0)
+            near &= has[i][:, both] @ has[j][:, both].T == 0
+        kept = t.select(names).take(pa.array(np.concatenate([i[near.any(axis=1)], j[near.any(axis=0)]])))
+        return pa.RecordBatch.from_arrays([c.combine_chunks() for c in kept.columns], names=names)
+
+    kinds = "key long, asker int, other int, name long, size int, " + ", ".join(f"{b} long" for b in BITS) + ", root long, asks boolean"
+    return _by_block(rows if sets is None else rows.join(sets.select(F.col("name").alias("__name"), "wide"), F.col("name") == F.col("__name")).drop("__name"), one, kinds)
+
+
+def block_edges(rows: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Edges (a, b) of texts of that similarity, from block_rows and the texts' sets."""
+    most_wide = most_differing(similarity)
+
+    def one(t: pa.Table) -> pa.RecordBatch:
+        column = lambda c: t.column(c).to_numpy()
+        items = [x.values.to_numpy().view(np.uint64) for x in t.column("items")]
+        bits = np.stack([column(b) for b in BITS], axis=1).view(np.uint64)
+        links = np.array(block_links(column("asks"), column("name"), column("root"), column("size"), bits, items, similarity, most_wide), dtype=np.int64).reshape(-1, 2)
+        links.sort(axis=1)
+        return pa.RecordBatch.from_arrays([pa.array(links[:, 0].copy()), pa.array(links[:, 1].copy())], names=["a", "b"])
 
-    both = rows.join(sets.withColumnRenamed("name", "__name"), F.col("name") == F.col("__name")).drop("__name")
-    return both.repartition(*group).sortWithinPartitions(*group).mapInArrow(work, "a long, b long").distinct()
+    both = rows.join(sets.select(F.col("name").alias("__name"), "items"), F.col("name") == F.col("__name")).drop("__name")
+    return _by_block(both, one, "a long, b long").distinct()
 
 
 def sets_of(names: DataFrame, texts: DataFrame, distinct: DataFrame, words: int) -> DataFrame:
-    """name and items of the named texts, each from one row that has it."""
+    """name, items and wide bits of the named texts, each from one row that has it."""
     of = distinct.select("name", "least").join(names, "name").select(F.col("name").alias("__name"), "least")
     wanted = texts.join(of, (F.col("name") == F.col("__name")) & F.col("doc_id").eqNullSafe(F.col("least")), "left_semi").dropDuplicates(["name"])
-    return _sets(wanted, words)
+    return _sets(wanted, words, True)
 
 
 def similar(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """Those edges whose whole shingle sets have that Jaccard similarity or more."""
-    both = edges.join(sets.select(F.col("name").alias("a"), F.col("items").alias("x")), "a").join(sets.select(F.col("name").alias("b"), F.col("items").alias("y")), "b")
-    shared = both.select("a", "b", F.size(F.array_intersect("x", "y")).alias("n"), (F.size("x") + F.size("y")).alias("sum"))
+    beside = lambda rows, c: rows.join(sets.select(F.col("name").alias("a"), F.col(c).alias("x")), "a").join(sets.select(F.col("name").alias("b"), F.col(c).alias("y")), "b")
+    differing = sum((F.bit_count(F.col("x")[i].bitwiseXOR(F.col("y")[i])) for i in range(WIDE_BITS // 64)), F.lit(0))
+    near = written(beside(edges, "wide").where(differing <= most_differing(similarity, WIDE_BITS)).select("a", "b"), "near")
+    shared = beside(near, "items").select("a", "b", F.size(F.array_intersect("x", "y")).alias("n"), (F.size("x") + F.size("y")).alias("sum"))
     return shared.where(F.col("n") >= F.lit(similarity) * (F.col("sum") - F.col("n")) - 1e-9).select("a", "b")
 
 
@@ -436,10 +478,11 @@ def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8) ->
     roots = components(links, "similar")
     mixed = written(mixed_buckets(buckets, roots), "mixed")
     drop_written(buckets)
-    edges, rows = written(component_pairs(mixed, similarity), "candidates"), block_rows(mixed)
-    names = _ends(edges).union(mixed.where(F.col("n") > SMALL_BUCKET).select("name")).distinct()
+    edges, rows = written(component_pairs(mixed, similarity), "candidates"), written(rows_with_partners(block_rows(mixed), similarity), "blocks")
+    names = _ends(edges).union(rows.select("name")).distinct()
     drop_written(sets)
     sets = written(sets_of(names, texts, distinct, words), "sets")
+    rows = written(rows_with_partners(rows, similarity, sets), "blocks")
     more = written(similar(edges, sets, similarity).union(block_edges(rows, sets, similarity)), "similar")
     if more.limit(1).count():
         roots = components(links.union(more), "similar")
