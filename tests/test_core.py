@@ -83,7 +83,7 @@ def test_golden_choice_and_ties(spark, sf):
 
 
 # Least guarantee, angle, worst axis of other data sets.
-OTHERS = {"li9": (1.589142, 35, 1), "cust_spend": (0.655599, 43, 2), "part_profile": (1.074221, 61, 9), "doc_layout": (1.042978, 89, 6), "doc_letters": (0.792039, 131, 11), "event_load": (1.863281, 89, 1)}
+OTHERS = {"li9": (1.589142, 35, 1), "cust_spend": (0.655599, 43, 2), "part_profile": (1.074221, 61, 9), "doc_layout": (1.042978, 89, 6), "doc_letters": (0.792039, 131, 11), "order_value": (1.234364, 91, 4), "event_load": (1.863281, 89, 1)}
 
 
 @pytest.mark.parametrize("name", list(OTHERS))

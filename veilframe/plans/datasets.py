@@ -104,9 +104,9 @@ def doc_letters(spark: SparkSession, d: str) -> tuple[DataFrame, NumericMatrixSp
 
 
 def order_value(spark: SparkSession, d: str) -> tuple[DataFrame, NumericMatrixSpec]:
-    by = read_table(spark, d, "lineitem").groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("n_lines"), F.sum("l_quantity").alias("sum_quantity"), F.avg("l_extendedprice").alias("avg_price"), F.avg("l_discount").alias("avg_discount"), F.avg("l_tax").alias("avg_tax"), F.min("l_quantity").alias("min_quantity"), F.max("l_quantity").alias("max_quantity"))
+    by = read_table(spark, d, "lineitem").groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("n_lines"), F.sum("l_quantity").alias("sum_quantity"), F.avg("l_extendedprice").alias("avg_price"), F.avg("l_discount").alias("avg_discount"), F.avg("l_tax").alias("avg_tax"), F.min("l_quantity").alias("min_quantity"), F.max("l_extendedprice").alias("max_price"))
     rows = read_table(spark, d, "orders").join(by, F.col("o_orderkey") == F.col("l_orderkey")).withColumns({"order_month": F.month("o_orderdate"), "order_weekday": F.dayofweek("o_orderdate") - 1})
-    spec = NumericMatrixSpec(("o_totalprice", "n_lines", "sum_quantity", "avg_price", "avg_discount", "avg_tax", "min_quantity", "max_quantity", "order_month", "order_weekday"), ("o_orderkey",), "cls")
+    spec = NumericMatrixSpec(("o_totalprice", "n_lines", "sum_quantity", "avg_price", "avg_discount", "avg_tax", "min_quantity", "max_price", "order_month", "order_weekday"), ("o_orderkey",), "cls")
     return _doubles(_ntile(rows, 2, F.col("o_totalprice") / 500000 + F.col("sum_quantity") / 300 - 5 * F.col("avg_discount"), ("o_orderkey",)), spec), spec
 
 
