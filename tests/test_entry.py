@@ -8,9 +8,6 @@ import pytest
 import __spark_entry__ as entry
 
 OWN = [k for k in entry.oracle_sql() if not k.startswith("op")]
-#: These pair records by key, and the smallest line table repeats a few keys.
-PAIRED = {"diff_variance_li4", "phi_of_release", "naive_true", "naive_released", "ks_tuples_li4"}
-
 
 def plain(rows):
     show = lambda x: None if x is None or x != x else f"{x:.6g}" if isinstance(x, float) else str(x)
@@ -31,8 +28,8 @@ def test_entry(spark):
 
 
 @pytest.mark.parametrize("name", OWN)
-def test_oracle(spark, sf_small, sf_mid, name):
-    folder = sf_mid if name in PAIRED else sf_small
+def test_oracle(spark, sf_small, name):
+    folder = sf_small
     df = entry.queries()[name](spark, folder)
     names = sorted(df.columns)
     got = plain(df.select(*(f"`{c}`" for c in names)).collect())

@@ -2,9 +2,10 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from veilframe.plans import attacks, baselines, classify, datasets, geometry, metrics, workloads
+from veilframe.plans import attacks, baselines, classify, datasets, geometry, metrics, places, workloads
 from veilframe.plans.matrix import KEY, NumericMatrixSpec, as_matrix
 from veilframe.plans.moments import fit
 from veilframe.plans.perturb import fit_model, release
@@ -184,3 +185,56 @@ def test_risk_levels(spark):
     assert [r.level for r in attacks.risk_table(df).orderBy("attack").collect()] == ["low", "moderate", "high", "inconclusive"]
     spec = NumericMatrixSpec(("x",))
     assert spec.n == 1
+
+
+@pytest.mark.parametrize("per_slot", [50, 1_000_000])
+def test_classes_of_equal_size(spark, monkeypatch, per_slot):
+    """Two-level places give the classes of one ordered pass, with ties, nulls and rows left over."""
+    monkeypatch.setattr(places, "PER_SLOT", per_slot)
+    df = spark.range(503).select("id", F.when(F.col("id") % 11 == 0, None).otherwise(F.col("id") * 7919 % 83).cast("double").alias("v"))
+    got = datasets._ntile(df, 7, F.col("v"), ("id",)).select("id", "cls")
+    want = df.select("id", F.ntile(7).over(Window.orderBy("v", "id")).alias("cls"))
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_ks_with_an_outlier_and_many_slots(spark, monkeypatch):
+    monkeypatch.setattr(places, "PER_SLOT", 20)
+    rng = np.random.default_rng(3)
+    x, y = np.append(rng.normal(size=400), 1e12), rng.normal(0.3, 1, 300).round(1)
+    df = lambda v: spark.createDataFrame([(float(a),) for a in v] + [(None,)], "a double")
+    got = metrics.ks_attributes(df(x), df(y), ["a"]).first()
+    at = np.concatenate([x, y])
+    want = np.abs(np.searchsorted(np.sort(x), at, side="right") / len(x) - np.searchsorted(np.sort(y), at, side="right") / len(y)).max()
+    assert got.d == pytest.approx(want, abs=1e-12) and (got.n, got.m) == (401, 300)
+
+
+def test_repeated_keys(spark):
+    df = spark.createDataFrame([(1, 5.0), (1, 3.0), (2, 4.0), (1, 3.0)], "id int, x double")
+    spec = NumericMatrixSpec(("x",), ("id",))
+    own = as_matrix(df, spec, repeated="number")
+    assert sorted((r[KEY], r.x) for r in own.collect()) == [("1", 3.0), ("1#2", 3.0), ("1#3", 5.0), ("2", 4.0)]
+    assert metrics.paired(own, own, ["x"]).count() == 4
+    with pytest.raises(Exception, match="a key repeats"):
+        as_matrix(df, spec, repeated="error").collect()
+
+
+def test_distances_by_brute_force(li4):
+    matrix, spec, attrs = li4
+    plain = release(matrix, fit_model(matrix, spec, sigma=0.3), "none")
+    got = attacks.distance(matrix, plain, attrs, known=8, eps=0.2).first()
+    scaled = []
+    for df in (matrix, plain):
+        m = fit(df, attrs)
+        scaled.append({r[KEY]: (np.array([r[a] for a in attrs]) - m.mean) / m.sd for r in df.collect()})
+    x, y = scaled
+    draws = matrix.select(KEY, attacks.uniform("dist", "known", F.col(KEY)).alias("u")).collect()
+    known = sorted(r[KEY] for r in sorted(draws, key=lambda r: (r.u, r[KEY]))[:8])
+    hits = [(b, k) for i, a in enumerate(known) for b in known[i + 1 :] for k in y if k != a and abs(np.linalg.norm(x[a] - x[b]) - np.linalg.norm(y[a] - y[k])) < 0.2]
+    assert (got.pairs, got.matches, got.true_matches) == (28, len(hits), sum(b == k for b, k in hits))
+
+
+def test_every_method_meets_both_pairings(spark, sf_small):
+    study = workloads.resistance_study(spark, sf_small, ("cust_spend",), ("ni",)).persist()
+    assert {(r.method, r.pairing) for r in study.collect()} == {(m, p) for m in workloads.METHODS for p in ("true", "released")}
+    ranks = workloads.resistance_ranks(study)
+    assert {(r.treatment, r.pairing) for r in ranks.collect()} == {(m, p) for m in workloads.METHODS for p in ("true", "released")}

@@ -11,7 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.rng import gaussian_matrix, uniform
@@ -19,19 +19,18 @@ from .matrix import KEY
 from .metrics import paired, resistance
 from .moments import Moments, fit, standardize
 from .perturb import linear
+from .places import ranked, slots_for
 
 
-def by_place(orig: DataFrame, released: DataFrame, attrs: list[str], seed: str = "place", slots: int = 1024) -> DataFrame:
+def by_place(orig: DataFrame, released: DataFrame, attrs: list[str], seed: str = "place", slots: int | None = None) -> DataFrame:
     """Pairs rows by their place, each table in the order of a keyed draw of its own.
 
-    Places are two-level (slots of the draw's range, then rows inside a slot), so no task numbers a whole table."""
+    Places are two-level (slots of the draw's range, by default as many as the rows need, then rows inside a slot)."""
+    slots = slots or slots_for(orig.count(), 64)
 
     def numbered(df: DataFrame, stream: str, names: list) -> DataFrame:
         rows = df.withColumn("__u", uniform(seed, stream, F.col(KEY))).withColumn("__slot", F.floor(F.col("__u") * slots).cast("int"))
-        sizes = rows.groupBy("__slot").agg(F.count(F.lit(1)).alias("__c"))
-        before = sizes.select("__slot", F.coalesce(F.sum("__c").over(Window.orderBy("__slot").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__before"))
-        inside = F.row_number().over(Window.partitionBy("__slot").orderBy("__u", KEY))
-        return rows.join(F.broadcast(before), "__slot").select(*names, (F.col("__before") + inside).alias("__place"))
+        return ranked(rows, "__slot", ["__u", KEY], "__place").select(*names, "__place")
 
     x = numbered(orig, "first", [F.col(KEY), *(F.col(a).alias(f"x_{a}") for a in attrs)])
     y = numbered(released, "order", [F.col(a).alias(f"y_{a}") for a in attrs])
@@ -187,20 +186,23 @@ def complementary(orig: DataFrame, releases: list[DataFrame], attrs: list[str])
 
 
 def distance(orig: DataFrame, released: DataFrame, attrs: list[str], known: int = 30, eps: float = 0.05, seed: str = "dist") -> DataFrame:
-    """Known records' pair distances sought among the released ones: pairs, matches, and how many are true.
-
-    Distances of keyed samples of at most `known` records; equal up to eps, by buckets of that width."""
-    pick = lambda df: df.orderBy(uniform(seed, "known", F.col(KEY)), KEY).limit(known)
-    mx, my = fit(orig, attrs), fit(released, attrs)
-
-    def gaps(df: DataFrame, m: Moments) -> DataFrame:
-        z = standardize(pick(df), m)
-        d = F.sqrt(sum((F.pow(F.col(f"l.{a}") - F.col(f"r.{a}"), 2) for a in attrs), F.lit(0.0)))
-        return z.alias("l").join(z.alias("r"), F.col(f"l.{KEY}") < F.col(f"r.{KEY}")).select(F.col(f"l.{KEY}").alias("k1"), F.col(f"r.{KEY}").alias("k2"), d.alias("d")).withColumn("slot", F.floor(F.col("d") / eps))
-
-    x, y = gaps(orig, mx), gaps(released, my).select(F.col("k1").alias("j1"), F.col("k2").alias("j2"), F.col("d").alias("e"), F.explode(F.array(*(F.col("slot") + i for i in (-1, 0, 1)))).alias("slot"))
-    hits = x.join(y, "slot").where(F.abs(F.col("d") - F.col("e")) < eps)
-    return hits.agg(F.count(F.lit(1)).alias("matches"), F.coalesce(F.sum(((F.col("k1") == F.col("j1")) & (F.col("k2") == F.col("j2"))).cast("long")), F.lit(0)).alias("true_matches"))
+    """Known records' pair distances sought in the release: pairs, matches, and how many are true.
+
+    The attacker knows `known` records (a keyed draw) and, at worst, where one record of a pair went. All released
+    rows are candidates for the other: a match lies as far from the first, up to eps, as the two known records do.
+    Distances are of values standardized by each side's own moments; `known` times the rows are compared."""
+    mine = F.broadcast(orig.select(KEY).orderBy(uniform(seed, "known", F.col(KEY)), KEY).limit(known).withColumnRenamed(KEY, "__known"))
+    x, y = standardize(orig, fit(orig, attrs)), standardize(released, fit(released, attrs))
+    points = lambda z, name: z.select(F.col(KEY).alias(name), F.array(*attrs).alias(f"{name}_at"))
+    gap = lambda a, b: F.sqrt(F.aggregate(F.zip_with(a, b, lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda s, d: s + d))
+    own = lambda z, name: points(z, name).join(mine, F.col(name) == F.col("__known")).drop("__known")
+    first, second = own(x, "k1"), own(x, "k2")
+    pairs = first.join(F.broadcast(second), F.col("k1") < F.col("k2")).select("k1", "k2", gap("k1_at", "k2_at").alias("d"))
+    sought = F.broadcast(own(y, "first").join(F.broadcast(pairs), F.col("first") == F.col("k1")).groupBy("first", "first_at").agg(F.collect_list(F.struct("k2", "d")).alias("sought")))
+    rows = points(y, "other").join(sought, F.col("first") != F.col("other")).withColumn("e", gap("first_at", "other_at"))
+    hits = rows.select("other", F.filter("sought", lambda p: F.abs(p["d"] - F.col("e")) < eps).alias("hits"))
+    found = hits.agg(F.coalesce(F.sum(F.size("hits").cast("long")), F.lit(0)).alias("matches"), F.coalesce(F.sum(F.size(F.filter("hits", lambda p: p["k2"] == F.col("other"))).cast("long")), F.lit(0)).alias("true_matches"))
+    return pairs.agg(F.count(F.lit(1)).alias("pairs")).join(found)
 
 
 def risk_table(measured: DataFrame) -> DataFrame:

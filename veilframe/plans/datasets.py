@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..sources.tables import read_table, replicate
 from .matrix import NumericMatrixSpec
+from .places import inner_cuts, ranked, slot_of, slots_for
 
 LINE_KEY = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
 LI4 = ("l_quantity", "l_extendedprice", "l_discount", "l_tax")
@@ -19,9 +20,17 @@ PUNCTUATION, VOWELS, ACCENTED = ".,;:!?", "aeiou", "éèàçêñäöüßóíáú
 
 
 def _ntile(df: DataFrame, buckets: int, value: Column, keys: tuple[str, ...]) -> DataFrame:
-    """Classes of equal size by a value. One ordered pass over all rows in one task: for experiment tables only."""
-    w = Window.orderBy("__v", *keys)
-    return df.withColumn("__v", value).withColumn("cls", F.ntile(buckets).over(w)).drop("__v")
+    """Classes of equal size by a value and then the key, the first classes one larger where rows are left over."""
+    rows = df.withColumn("__v", value.cast("double"))
+    n = rows.count()
+    shares = inner_cuts(slots_for(n))
+    cuts = rows.agg(F.percentile_approx("__v", shares, 10 * len(shares))).first()[0] if shares else []
+    placed = ranked(rows.withColumn("__slot", slot_of(F.col("__v"), cuts)), "__slot", ["__v", *keys], "__place")
+    size, over = divmod(n, buckets)
+    at = F.col("__place") - 1
+    small = F.lit(over) + F.floor((at - over * (size + 1)) / F.lit(max(size, 1)))
+    cls = F.when(at < over * (size + 1), F.floor(at / F.lit(size + 1))).otherwise(small) + 1
+    return placed.withColumn("cls", cls.cast("int")).drop("__v", "__slot", "__place")
 
 
 def _doubles(df: DataFrame, spec: NumericMatrixSpec) -> DataFrame:

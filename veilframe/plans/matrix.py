@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.rng import key_text
@@ -32,10 +32,12 @@ class NumericMatrixSpec:
         return replace(self, value_cols=tuple(columns))
 
 
-def as_matrix(df: DataFrame, spec: NumericMatrixSpec, on_null: str = "error") -> DataFrame:
+def as_matrix(df: DataFrame, spec: NumericMatrixSpec, on_null: str = "error", repeated: str = "keep") -> DataFrame:
     """The attributes as doubles, the key as one text column, and what goes along.
 
     Nulls and NaN: "error" fails the job, "drop" drops the record, "mean" puts the attribute's mean.
+    Records of one key: "keep" leaves them, which a release bears (they draw equal noise) but pairing by key does
+    not; "number" numbers them inside their key, "error" fails the job. Either takes a shuffle by key.
     """
     missing = [c for c in (*spec.value_cols, *spec.key_cols, *spec.kept) if c not in df.columns]
     if missing:
@@ -45,13 +47,19 @@ def as_matrix(df: DataFrame, spec: NumericMatrixSpec, on_null: str = "error") ->
         values = {c: F.when(v.isNull(), F.raise_error(F.lit(f"null in attribute {c}")).cast("double")).otherwise(v) if df.schema[c].nullable else v for c, v in values.items()}
     out = df.select(key_text(spec.key_cols).alias(KEY), *(v.alias(c) for c, v in values.items()), *spec.kept)
     if on_null == "drop":
-        return out.dropna(subset=list(spec.value_cols))
-    if on_null == "mean":
+        out = out.dropna(subset=list(spec.value_cols))
+    elif on_null == "mean":
         means = out.agg(*(F.avg(c).alias(c) for c in spec.value_cols)).first()
-        return out.fillna({c: means[c] for c in spec.value_cols if means[c] is not None})
-    if on_null != "error":
+        out = out.fillna({c: means[c] for c in spec.value_cols if means[c] is not None})
+    elif on_null != "error":
         raise ValueError(f"on_null is error, drop or mean, not {on_null}")
-    return out
+    if repeated == "keep":
+        return out
+    if repeated not in ("number", "error"):
+        raise ValueError(f"repeated is keep, number or error, not {repeated}")
+    number = F.row_number().over(Window.partitionBy(KEY).orderBy(*spec.value_cols))
+    again = F.concat(F.col(KEY), F.lit("#"), number.cast("string")) if repeated == "number" else F.raise_error(F.concat(F.lit("a key repeats: "), F.col(KEY))).cast("string")
+    return out.withColumn("__own", F.when(number == 1, F.col(KEY)).otherwise(again)).drop(KEY).withColumnRenamed("__own", KEY).select(*out.columns)
 
 
 def with_homogeneous(df: DataFrame, name: str = "h") -> DataFrame:

@@ -10,10 +10,11 @@ from pyspark.sql import functions as F
 
 from .matrix import KEY
 from .moments import Moments
+from .places import inner_cuts, slot_of, slots_for
 
 
 def paired(orig: DataFrame, other: DataFrame, attrs: list[str], by: str = KEY) -> DataFrame:
-    """Rows of two tables side by side by a key: x_<attr> and y_<attr>."""
+    """Rows of two tables side by side by a key: x_<attr> and y_<attr>. Keys must not repeat (see as_matrix)."""
     x = orig.select(by, *(F.col(a).alias(f"x_{a}") for a in attrs))
     y = other.select(F.col(by).alias("__by"), *(F.col(a).alias(f"y_{a}") for a in attrs))
     return x.join(y, F.col(by) == F.col("__by")).drop("__by")
@@ -117,21 +118,22 @@ def ks_tuples(pairs: DataFrame, moments: Moments, alpha: float = 0.05, by: str =
 
 
 def ks_attributes(orig: DataFrame, other: DataFrame, attrs: list[str]) -> DataFrame:
-    """attr, d, n, m: the two-sample statistic of every attribute.
-
-    Values are counted first; the running sums are two-level (by range of values, then inside a range), so no
-    task holds an attribute's whole column."""
-    cells = lambda df, s: df.select(F.inline(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).alias("v")) for a in attrs)))).select("attr", "v", F.lit(s).alias("s"))
-    both = cells(orig, 0).unionByName(cells(other, 1))
-    counts = both.groupBy("attr", "v").agg(F.sum((F.col("s") == 0).cast("long")).alias("a"), F.sum(F.col("s").cast("long")).alias("b"))
-    bounds = counts.groupBy("attr").agg(F.min("v").alias("lo"), F.max("v").alias("hi"))
-    placed = counts.join(F.broadcast(bounds), "attr").withColumn("slot", F.when(F.col("hi") > F.col("lo"), F.floor((F.col("v") - F.col("lo")) / (F.col("hi") - F.col("lo")) * 1023)).otherwise(0).cast("int"))
-    slots = placed.groupBy("attr", "slot").agg(F.sum("a").alias("sa"), F.sum("b").alias("sb"))
-    before = Window.partitionBy("attr").orderBy("slot").rowsBetween(Window.unboundedPreceding, -1)
-    slots = slots.withColumns({"before_a": F.coalesce(F.sum("sa").over(before), F.lit(0)), "before_b": F.coalesce(F.sum("sb").over(before), F.lit(0))}).select("attr", "slot", "before_a", "before_b")
-    whole = counts.groupBy("attr").agg(F.sum("a").alias("n"), F.sum("b").alias("m"))
+    """attr, d, n, m: the two-sample statistic of every attribute. Nulls are left out.
+
+    Values are counted first; the running sums are two-level (by slots that hold like numbers of values whatever
+    their spread, then inside a slot), so no task holds an attribute's whole column."""
+    either = orig.select(*attrs).unionByName(other.select(*attrs))
+    shares = inner_cuts(slots_for(either.count(), 16))
+    ends = either.agg(*(F.percentile_approx(a, shares, max(1000, 10 * len(shares))).alias(f"c{i}") for i, a in enumerate(attrs))).first()
+    slot = [slot_of(F.col(a), sorted(ends[f"c{i}"] or [])) for i, a in enumerate(attrs)]
+    cells = lambda df, s: df.select(*attrs, *(x.alias(f"__s{i}") for i, x in enumerate(slot))).select(F.inline(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).alias("v"), F.col(f"__s{i}").alias("slot")) for i, a in enumerate(attrs))))).where("v is not null").select("*", F.lit(s).alias("s"))
+    counts = cells(orig, 0).unionByName(cells(other, 1)).groupBy("attr", "slot", "v").agg(F.sum((F.col("s") == 0).cast("long")).alias("a"), F.sum(F.col("s").cast("long")).alias("b"))
+    sizes = counts.groupBy("attr", "slot").agg(F.sum("a").alias("sa"), F.sum("b").alias("sb"))
+    w = Window.partitionBy("attr")
+    before = w.orderBy("slot").rowsBetween(Window.unboundedPreceding, -1)
+    slots = sizes.select("attr", "slot", F.coalesce(F.sum("sa").over(before), F.lit(0)).alias("before_a"), F.coalesce(F.sum("sb").over(before), F.lit(0)).alias("before_b"), F.sum("sa").over(w).alias("n"), F.sum("sb").over(w).alias("m"))
     inside = Window.partitionBy("attr", "slot").orderBy("v").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    rows = placed.join(F.broadcast(slots), ["attr", "slot"]).join(F.broadcast(whole), "attr").withColumn("gap", F.abs((F.col("before_a") + F.sum("a").over(inside)) / F.col("n") - (F.col("before_b") + F.sum("b").over(inside)) / F.col("m")))
+    rows = counts.join(F.broadcast(slots), ["attr", "slot"]).withColumn("gap", F.abs((F.col("before_a") + F.sum("a").over(inside)) / F.col("n") - (F.col("before_b") + F.sum("b").over(inside)) / F.col("m")))
     return rows.groupBy("attr").agg(F.max("gap").alias("d"), F.max("n").alias("n"), F.max("m").alias("m"))
 
 
@@ -167,13 +169,14 @@ def correlation_shift(a: Moments, b: Moments) -> float:
     return float(np.abs(a.cov - b.cov).max())
 
 
-def isometry_error(matrix: DataFrame, moved: DataFrame, attrs: list[str], share: float = 0.01, seed: str = "pairs", most: int = 400) -> DataFrame:
-    """pairs, max_error: how far distances between sampled records change. A keyed sample of at most `most` records."""
+def isometry_error(matrix: DataFrame, moved: DataFrame, attrs: list[str], asked: int = 64, seed: str = "pairs") -> DataFrame:
+    """pairs, max_error: how far distances change between a query set of `asked` records (a keyed draw) and all others."""
     from ..functions.rng import uniform
 
-    rows = paired(matrix, moved, attrs).where(uniform(seed, "iso", F.col(KEY)) < share).orderBy(uniform(seed, "iso", F.col(KEY)), KEY).limit(most)
-    left, right = rows.alias("l"), rows.alias("r")
-    pairs = left.join(right, F.col(f"l.{KEY}") < F.col(f"r.{KEY}"))
+    rows = paired(matrix, moved, attrs)
+    chosen = matrix.select(KEY).orderBy(uniform(seed, "iso", F.col(KEY)), KEY).limit(asked).withColumnRenamed(KEY, "__asked")
+    left, right = rows.join(F.broadcast(chosen), F.col(KEY) == F.col("__asked")).drop("__asked").alias("l"), rows.alias("r")
+    pairs = right.join(F.broadcast(left), F.col(f"l.{KEY}") != F.col(f"r.{KEY}"))
     length = lambda k: F.sqrt(sum((F.pow(F.col(f"l.{k}_{a}") - F.col(f"r.{k}_{a}"), 2) for a in attrs), F.lit(0.0)))
     return pairs.agg(F.count(F.lit(1)).alias("pairs"), F.max(F.abs(length("x") - length("y"))).alias("max_error"))
 

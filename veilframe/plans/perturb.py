@@ -149,8 +149,8 @@ def release(matrix: DataFrame, model: PerturbationModel, order: str = "global",
     return shuffle(rescale(out, model), model.seed, order, model.attrs, kind)
 
 
-def smp(df: DataFrame, spec: NumericMatrixSpec, sigma: float = 0.3, search_by: str = "cov", order: str = "global", kind: str = "keyed", on_null: str = "error", **how) -> DataFrame:
-    """The whole method in one call; search_by "cov" or "scan"."""
+def smp(df: DataFrame, spec: NumericMatrixSpec, sigma: float = 0.3, search_by: str = "cov", order: str = "block", kind: str = "fast", on_null: str = "error", **how) -> DataFrame:
+    """The whole method in one call; search_by "cov" or "scan". kind="keyed" draws what SQL can draw as well."""
     matrix = as_matrix(df, spec, on_null)
     return release(matrix, fit_model(matrix, spec, sigma, search_by, **how), order, kind)
 

@@ -56,8 +56,9 @@ def accuracy_study(spark: SparkSession, folder: str, names: tuple[str, ...] = da
     return _union(parts)
 
 
-def resistance_study(spark: SparkSession, folder: str, names: tuple[str, ...] = datasets.STUDIED, kinds: tuple[str, ...] = ("ni", "ica", "io"), pairing: str = "released", methods: tuple[str, ...] = METHODS) -> DataFrame:
-    """dataset, method, attack, std_min, std_avg. RP and GP do not reorder rows, so they meet the attacker in true pairs."""
+def resistance_study(spark: SparkSession, folder: str, names: tuple[str, ...] = datasets.STUDIED, kinds: tuple[str, ...] = ("ni", "ica", "io"), pairings: tuple[str, ...] = ("true", "released"), methods: tuple[str, ...] = METHODS) -> DataFrame:
+    """dataset, method, attack, pairing, std_min, std_avg. Every method meets the attacker in the same pairings: by the
+    hidden key, and by place after a shuffle."""
     run = {"ni": attacks.naive, "ica": attacks.ica, "io": attacks.known_io}
     parts = []
     for name in names:
@@ -66,15 +67,16 @@ def resistance_study(spark: SparkSession, folder: str, names: tuple[str, ...] =
         for method in methods:
             rows = version(matrix, spec, m, method)
             for kind in kinds:
-                got = run[kind](matrix, rows, attrs, pairing=pairing if method == "SMP" else "true")
-                parts.append(got.select(F.lit(name).alias("dataset"), F.lit(method).alias("method"), F.lit(kind).alias("attack"), "std_min", "std_avg"))
+                for pairing in pairings:
+                    got = run[kind](matrix, rows, attrs, pairing=pairing)
+                    parts.append(got.select(F.lit(name).alias("dataset"), F.lit(method).alias("method"), F.lit(kind).alias("attack"), F.lit(pairing).alias("pairing"), "std_min", "std_avg"))
     return _union(parts)
 
 
 def resistance_ranks(study: DataFrame) -> DataFrame:
-    """The rank test over all (dataset, attack, measure) blocks of a resistance study."""
-    long = study.unpivot(["dataset", "method", "attack"], ["std_min", "std_avg"], "measure", "v")
-    return metrics.friedman(long, ["dataset", "attack", "measure"], "method", "v")
+    """The rank test over all (dataset, attack, measure) blocks of a resistance study, for each pairing by itself."""
+    long = study.unpivot(["dataset", "method", "attack", "pairing"], ["std_min", "std_avg"], "measure", "v")
+    return _union([metrics.friedman(long.where(F.col("pairing") == p), ["dataset", "attack", "measure"], "method", "v").withColumn("pairing", F.lit(p)) for p in ("true", "released")])
 
 
 def accuracy_ranks(study: DataFrame) -> DataFrame:

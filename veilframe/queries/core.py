@@ -144,12 +144,17 @@ def var_and_cross_from_cov(spark, d):
     return spark.createDataFrame(out, "theta_deg int, axis int, i int, v double, s double")
 
 
-@query(Q.base() + " SELECT 'global_max' AS label, round(max(phi), 8) AS phi, round(max(phi), 8) AS phi_max, true AS separated FROM grid")
+_SEPARATED = " UNION ALL ".join(f"SELECT * FROM ({Q.base(selection=s)} SELECT '{s}' AS label, round(grid.phi, 8) AS phi, top AS phi_max, round(grid.phi, 8) >= top - 1e-9 AS separated FROM grid JOIN pick USING (theta_deg, axis), (SELECT round(max(phi), 8) AS top FROM grid))" for s in ("global_max", "maximin"))
+
+
+@query(_SEPARATED)
 def separation_check(spark, d):
-    g = _grid(spark, d)
-    best = search.select_df(g, "global_max").select(F.col("theta_deg").alias("t"), F.col("axis").alias("a"))
-    marked = g.join(F.broadcast(best)).select(F.lit("global_max").alias("label"), F.round("phi", 8).alias("phi"), ((F.col("theta_deg") == F.col("t")) & (F.col("axis") == F.col("a"))).alias("chosen"))
-    return search.satisfies_separation(marked)
+    g, out = _grid(spark, d), []
+    for selection in ("global_max", "maximin"):
+        best = search.select_df(g, selection).select(F.col("theta_deg").alias("t"), F.col("axis").alias("a"))
+        marked = g.join(F.broadcast(best)).select(F.lit(selection).alias("label"), F.round("phi", 8).alias("phi"), ((F.col("theta_deg") == F.col("t")) & (F.col("axis") == F.col("a"))).alias("chosen"))
+        out.append(search.satisfies_separation(marked))
+    return out[0].unionByName(out[1])
 
 
 # --- release -------------------------------------------------------------------------------------------------
@@ -175,9 +180,9 @@ def rescale_li4(spark, d):
     return _rounded(rescale(expand(move(m, model), ATTRS, 0.3), model), "cls")
 
 
-def _release(spark, d, order="global", **how):
+def _release(spark, d, order="global", kind="keyed", **how):
     df, spec = datasets.li4(spark, d)
-    return _rounded(smp(df, spec, order=order, **how), "cls")
+    return _rounded(smp(df, spec, order=order, kind=kind, **how), "cls")
 
 
 for _name, _how, _sql in (
@@ -204,12 +209,17 @@ def smp_grouped_by_flag(spark, d):
     return _rounded(smp_grouped(df, NumericMatrixSpec(spec.value_cols, spec.key_cols, "cls"), "cls"), "cls")
 
 
-@query("WITH n AS (SELECT count(*) AS n FROM lineitem) SELECT s AS sigma, n AS rows FROM n, (VALUES (0.1::DOUBLE), (0.2), (0.3)) t(s)")
+_SERIES = (0.1, 0.2, 0.3)
+_SERIES_SQL = " UNION ALL ".join(f"SELECT * FROM ({Q.released(s, seed=f'smp-{k}')} SELECT {s}::DOUBLE AS sigma, count(*) AS rows, {', '.join(f'round(avg(r{i}), 5) AS mean_{i}, round(stddev_samp(r{i}), 5) AS sd_{i}' for i in range(4))} FROM rel)" for k, s in enumerate(_SERIES))
+
+
+@query(_SERIES_SQL)
 def release_series(spark, d):
     from ..plans.perturb import release_series as series
 
     df, spec = datasets.li4(spark, d)
-    out = [x.agg(F.lit(s).alias("sigma"), F.count(F.lit(1)).alias("rows")) for s, x in zip((0.1, 0.2, 0.3), series(df, spec, [0.1, 0.2, 0.3]), strict=True)]
+    moments = [f(c, i) for i, c in enumerate(ATTRS) for f in (lambda c, i: F.round(F.avg(c), 5).alias(f"mean_{i}"), lambda c, i: F.round(F.stddev_samp(c), 5).alias(f"sd_{i}"))]
+    out = [x.agg(F.lit(s).alias("sigma"), F.count(F.lit(1)).alias("rows"), *moments) for s, x in zip(_SERIES, series(df, spec, list(_SERIES), kind="keyed"), strict=True)]
     return out[0].unionByName(out[1]).unionByName(out[2])
 
 
@@ -271,7 +281,7 @@ def laplace_query(spark, d):
 
 def _pairs(spark, d, **how):
     df, spec = datasets.li4(spark, d)
-    m = as_matrix(df, spec)
+    m = as_matrix(df, spec, repeated="number")
     model = fit_model(m, spec, **how)
     rel = release(m, model, "none")
     return m, rel, model
@@ -286,21 +296,21 @@ def _std(prefix_x="x", prefix_y="r", source="rel"):
 _RES = lambda df: df.select(F.round("std_min", 7).alias("std_min"), F.round("std_avg", 7).alias("std_avg"))
 
 
-@query(Q.released() + " " + " UNION ALL ".join(f"SELECT '{c}' AS attr, round((SELECT var_samp((r{i} - x{i}) / s{i}) FROM rel, mo), 8) AS variance" for i, c in enumerate(Q.COLS)))
+@query(Q.released(numbered=True) + " " + " UNION ALL ".join(f"SELECT '{c}' AS attr, round((SELECT var_samp((r{i} - x{i}) / s{i}) FROM rel, mo), 8) AS variance" for i, c in enumerate(Q.COLS)))
 def diff_variance_li4(spark, d):
     m, rel, _ = _pairs(spark, d)
     mo = fit(m, ATTRS)
     return metrics.diff_variance(metrics.paired(standardize(m, mo), standardize(rel, mo), ATTRS), ATTRS).select("attr", F.round("variance", 8).alias("variance"))
 
 
-@query(Q.released(sigma=0.0) + " SELECT round(least(" + ", ".join(f"var_samp((r{i} - x{i}) / s{i})" for i in range(4)) + "), 8) AS phi FROM rel, mo")
+@query(Q.released(sigma=0.0, numbered=True) + " SELECT round(least(" + ", ".join(f"var_samp((r{i} - x{i}) / s{i})" for i in range(4)) + "), 8) AS phi FROM rel, mo")
 def phi_of_release(spark, d):
     m, rel, _ = _pairs(spark, d, sigma=0.0)
     mo = fit(m, ATTRS)
     return metrics.phi(metrics.paired(standardize(m, mo), standardize(rel, mo), ATTRS), ATTRS).select(F.round("phi", 8).alias("phi"))
 
 
-@query(Q.released() + _std())
+@query(Q.released(numbered=True) + _std())
 def naive_true(spark, d):
     m, rel, _ = _pairs(spark, d)
     return _RES(attacks.naive(m, rel, ATTRS))
@@ -309,7 +319,7 @@ def naive_true(spark, d):
 _PLACED = f", px AS (SELECT row_number() OVER (ORDER BY {uniform_sql('place', 'first', 'key')}, key) AS k, {', '.join(f'x{i}' for i in range(4))} FROM rel), py AS (SELECT row_number() OVER (ORDER BY {uniform_sql('place', 'order', 'key')}, key) AS k, {', '.join(f'r{i}' for i in range(4))} FROM rel), placed AS (SELECT * FROM px JOIN py USING (k))"
 
 
-@query(Q.released() + _PLACED + _std(source="placed"))
+@query(Q.released(numbered=True) + _PLACED + _std(source="placed"))
 def naive_released(spark, d):
     m, rel, _ = _pairs(spark, d)
     return _RES(attacks.naive(m, rel, ATTRS, "released"))
@@ -338,7 +348,11 @@ def eigen_li4(spark, d):
     return spark.createDataFrame([(k, round(a, 7), round(b, 7)) for k, a, b in attacks.eigen(m, rel, ATTRS)], "k int, original double, released double")
 
 
-@query()
+_GAP = lambda p: "sqrt(" + " + ".join(f"pow(a.{p}{i} - b.{p}{i}, 2)" for i in range(4)) + ")"
+_OWN_R = ", ".join(f"(r{i} - avg(r{i}) OVER ()) / stddev_samp(r{i}) OVER () AS w{i}" for i in range(4))
+
+
+@query(Q.released(numbered=True) + f", z AS (SELECT key, {', '.join(f'(x{i} - m{i}) / s{i} AS z{i}' for i in range(4))}, {_OWN_R} FROM rel, mo), kn AS (SELECT * FROM z ORDER BY {uniform_sql('dist', 'known', 'key')}, key LIMIT 30), pr AS (SELECT a.key AS k1, b.key AS k2, {_GAP('z')} AS d FROM kn a JOIN kn b ON a.key < b.key), e AS (SELECT a.key AS k1, b.key AS other, {_GAP('w')} AS e FROM kn a JOIN z b ON a.key <> b.key), h AS (SELECT (pr.k2 = e.other) AS hit FROM pr JOIN e USING (k1) WHERE abs(d - e) < 0.05) SELECT (SELECT count(*) FROM pr) AS pairs, count(*) AS matches, coalesce(sum(hit::BIGINT), 0)::BIGINT AS true_matches FROM h")
 def distance_li4(spark, d):
     m, rel, _ = _pairs(spark, d)
     return attacks.distance(m, rel, ATTRS)
@@ -358,13 +372,13 @@ def risk_levels(spark, d):
 _KS_CUT = metrics.ks_cutoff(4)
 
 
-@query(Q.released() + f", z AS (SELECT key, [{', '.join(f'(x{i} - m{i}) / s{i}' for i in range(4))}] AS a, [{', '.join(f'(r{i} - m{i}) / s{i}' for i in range(4))}] AS b FROM rel, mo), k AS (SELECT key, list_max(list_transform(list_concat(a, b), lambda v: abs(len(list_filter(a, lambda p: p <= v)) - len(list_filter(b, lambda q: q <= v))))) AS k FROM z) SELECT key, k / 4.0::DOUBLE AS d, k >= 4 AS rejected FROM k")
+@query(Q.released(numbered=True) + f", z AS (SELECT key, [{', '.join(f'(x{i} - m{i}) / s{i}' for i in range(4))}] AS a, [{', '.join(f'(r{i} - m{i}) / s{i}' for i in range(4))}] AS b FROM rel, mo), k AS (SELECT key, list_max(list_transform(list_concat(a, b), lambda v: abs(len(list_filter(a, lambda p: p <= v)) - len(list_filter(b, lambda q: q <= v))))) AS k FROM z) SELECT key, k / 4.0::DOUBLE AS d, k >= 4 AS rejected FROM k")
 def ks_tuples_li4(spark, d):
     m, rel, _ = _pairs(spark, d)
     return metrics.ks_tuples(metrics.paired(m, rel, ATTRS), fit(m, ATTRS))
 
 
-@query(Q.released() + " " + " UNION ALL ".join(f"(WITH u AS (SELECT x{i} AS v, 1 AS a, 0 AS b FROM rel UNION ALL SELECT r{i}, 0, 1 FROM rel), c AS (SELECT v, sum(a) AS a, sum(b) AS b FROM u GROUP BY v), f AS (SELECT sum(a) OVER (ORDER BY v) / sum(a) OVER () - sum(b) OVER (ORDER BY v) / sum(b) OVER () AS g FROM c) SELECT '{c}' AS attr, round(max(abs(g)), 8) AS d, (SELECT count(*) FROM rel) AS n, (SELECT count(*) FROM rel) AS m FROM f)" for i, c in enumerate(Q.COLS)))
+@query(Q.released(numbered=True) + " " + " UNION ALL ".join(f"(WITH u AS (SELECT x{i} AS v, 1 AS a, 0 AS b FROM rel UNION ALL SELECT r{i}, 0, 1 FROM rel), c AS (SELECT v, sum(a) AS a, sum(b) AS b FROM u GROUP BY v), f AS (SELECT sum(a) OVER (ORDER BY v) / sum(a) OVER () - sum(b) OVER (ORDER BY v) / sum(b) OVER () AS g FROM c) SELECT '{c}' AS attr, round(max(abs(g)), 8) AS d, (SELECT count(*) FROM rel) AS n, (SELECT count(*) FROM rel) AS m FROM f)" for i, c in enumerate(Q.COLS)))
 def ks_attributes_li4(spark, d):
     m, rel, _ = _pairs(spark, d)
     return metrics.ks_attributes(m, rel, ATTRS).select("attr", F.round("d", 8).alias("d"), "n", "m")
@@ -379,28 +393,31 @@ def entropy_li9(spark, d):
     return metrics.entropy(df, list(datasets.LI9)).select("attr", F.round("h", 8).alias("h"))
 
 
-@query(Q.released() + " " + " UNION ALL ".join(f"SELECT '{c}' AS attr, round({_H(f'x{i}', 'rel')}, 7) AS h_orig, round({_H(f'round(r{i}, 9)', 'rel')}, 7) AS h_pert, round({_H(f'round(r{i}, 9)', 'rel')} - {_H(f'x{i}', 'rel')}, 7) AS gain" for i, c in enumerate(Q.COLS)))
+@query(Q.released(numbered=True) + " " + " UNION ALL ".join(f"SELECT '{c}' AS attr, round({_H(f'x{i}', 'rel')}, 7) AS h_orig, round({_H(f'round(r{i}, 9)', 'rel')}, 7) AS h_pert, round({_H(f'round(r{i}, 9)', 'rel')} - {_H(f'x{i}', 'rel')}, 7) AS gain" for i, c in enumerate(Q.COLS)))
 def entropy_gain_li4(spark, d):
     m, rel, _ = _pairs(spark, d)
     got = metrics.entropy_gain(m, rel.withColumns({a: F.round(a, 9) for a in ATTRS}), ATTRS)
     return got.select("attr", *(F.round(c, 7).alias(c) for c in ("h_orig", "h_pert", "gain")))
 
 
-@query(Q.released() + " " + " UNION ALL ".join(f"SELECT '{c}' AS attr, round((SELECT avg(CASE WHEN r{i} BETWEEN lo AND hi THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END) FROM rel, (SELECT min(x{i}) AS lo, max(x{i}) AS hi FROM rel)), 8) AS share" for i, c in enumerate(Q.COLS)))
+@query(Q.released(numbered=True) + " " + " UNION ALL ".join(f"SELECT '{c}' AS attr, round((SELECT avg(CASE WHEN r{i} BETWEEN lo AND hi THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END) FROM rel, (SELECT min(x{i}) AS lo, max(x{i}) AS hi FROM rel)), 8) AS share" for i, c in enumerate(Q.COLS)))
 def range_share(spark, d):
     m, rel, _ = _pairs(spark, d)
     return metrics.range_share(m, rel, ATTRS).select("attr", F.round("share", 8).alias("share"))
 
 
-@query(Q.released() + " " + " UNION ALL ".join(f"SELECT '{c}' AS attr, round((avg(r{i}) - avg(x{i})) / stddev_samp(x{i}), 7) AS mean_shift, round(stddev_samp(r{i}) / stddev_samp(x{i}), 7) AS sd_ratio FROM rel" for i, c in enumerate(Q.COLS)))
+@query(Q.released(numbered=True) + " " + " UNION ALL ".join(f"SELECT '{c}' AS attr, round((avg(r{i}) - avg(x{i})) / stddev_samp(x{i}), 7) AS mean_shift, round(stddev_samp(r{i}) / stddev_samp(x{i}), 7) AS sd_ratio FROM rel" for i, c in enumerate(Q.COLS)))
 def bias_report(spark, d):
     m, rel, _ = _pairs(spark, d)
     return metrics.bias_report(m, rel, ATTRS).select("attr", F.round("mean_shift", 7).alias("mean_shift"), F.round("sd_ratio", 7).alias("sd_ratio"))
 
 
-@query("WITH n AS (SELECT 1) SELECT pairs, max_error < 1e-9 AS kept FROM (SELECT count(*) AS pairs, 0.0 AS max_error FROM (SELECT k FROM (SELECT " + Q.KEY + " AS k FROM lineitem) WHERE " + uniform_sql("pairs", "iso", "k") + " < 0.01 ORDER BY " + uniform_sql("pairs", "iso", "k") + ", k LIMIT 400) a JOIN (SELECT k AS k2 FROM (SELECT " + Q.KEY + " AS k FROM lineitem) WHERE " + uniform_sql("pairs", "iso", "k") + " < 0.01 ORDER BY " + uniform_sql("pairs", "iso", "k") + ", k LIMIT 400) b ON k < k2)")
+_ISO = lambda p: "sqrt(" + " + ".join(f"pow(q.{p}{i} - o.{p}{i}, 2)" for i in range(4)) + ")"
+
+
+@query(f"{Q.base(numbered=True)}, {Q.moved()}, z AS (SELECT key, {', '.join(f'(x{i} - m{i}) / s{i} AS a{i}, y{i} AS b{i}' for i in range(4))} FROM moved, mo), q AS (SELECT * FROM z ORDER BY {uniform_sql('pairs', 'iso', 'key')}, key LIMIT 64) SELECT count(*) AS pairs, max(abs({_ISO('a')} - {_ISO('b')})) < 1e-9 AS kept FROM q JOIN z o ON q.key <> o.key")
 def isometry_pairs(spark, d):
-    m, model = _model(spark, d)
+    m, _, model = _pairs(spark, d)
     z = standardize(m, fit(m, ATTRS))
     return metrics.isometry_error(z, move(z, model, standardized=True), ATTRS).select("pairs", (F.col("max_error") < 1e-9).alias("kept"))
 

@@ -12,7 +12,11 @@ PLACES = (6, 3, 8, 8)
 N = 4
 
 
-def li() -> str:
+def li(numbered: bool = False) -> str:
+    """numbered: records of one key are told apart, as as_matrix(repeated="number") does."""
+    if numbered:
+        again = f"row_number() OVER (PARTITION BY {KEY} ORDER BY {', '.join(COLS)})"
+        return f"li AS (SELECT key || CASE WHEN k > 1 THEN '#' || k::VARCHAR ELSE '' END AS key, {', '.join(f'x{i}' for i in range(N))}, cls FROM (SELECT {KEY} AS key, {', '.join(f'{c} AS x{i}' for i, c in enumerate(COLS))}, l_returnflag AS cls, {again} AS k FROM lineitem))"
     return f"li AS (SELECT {KEY} AS key, {', '.join(f'{c} AS x{i}' for i, c in enumerate(COLS))}, l_returnflag AS cls FROM lineitem)"
 
 
@@ -57,25 +61,25 @@ def pick(selection: str = "maximin") -> str:
   SELECT theta_deg, axis, min(round(phi, 9)) OVER (PARTITION BY theta_deg) AS phi_opt, row_number() OVER (PARTITION BY theta_deg ORDER BY {order}) AS k FROM grid) WHERE k = 1 ORDER BY phi_opt DESC, theta_deg LIMIT 1)"""
 
 
-def base(form: str = "exact", selection: str = "maximin", reflection: str = "single") -> str:
-    return f"WITH RECURSIVE {li()}, {mo()}, {cov()}, {rot(N)}, {grid(form, reflection)}, {pick(selection)}"
+def base(form: str = "exact", selection: str = "maximin", reflection: str = "single", numbered: bool = False) -> str:
+    return f"WITH RECURSIVE {li(numbered)}, {mo()}, {cov()}, {rot(N)}, {grid(form, reflection)}, {pick(selection)}"
 
 
-def moved(reflection: str = "single") -> str:
+def moved(reflection: str = "single", seed: str = "smp") -> str:
     other = ("-1", "1") if reflection == "single" else ("1", "-1")
-    z = [f"(CASE WHEN axis = {j + 1} THEN {other[0]} ELSE {other[1]} END * (x{j} - m{j}) / s{j} + {uniform_sql('smp', 'shift', chr(39) + 't' + chr(39), j)})" for j in range(N)]
+    z = [f"(CASE WHEN axis = {j + 1} THEN {other[0]} ELSE {other[1]} END * (x{j} - m{j}) / s{j} + {uniform_sql(seed, 'shift', chr(39) + 't' + chr(39), j)})" for j in range(N)]
     cells = ", ".join(" + ".join(f"m[{i * N + j + 1}] * {z[j]}" for j in range(N)) + f" AS y{i}" for i in range(N))
     return f"moved AS (SELECT key, cls, {', '.join(f'x{i}' for i in range(N))}, {cells} FROM li, mo, pick JOIN rot ON rot.theta = pick.theta_deg)"
 
 
-def expanded(sigma: float = 0.3) -> str:
-    cells = ", ".join(f"y{i} + sign(y{i}) * abs({sigma}::DOUBLE * {normal_sql('smp', 'noise', 'key', i)}) AS e{i}" if sigma else f"y{i} AS e{i}" for i in range(N))
+def expanded(sigma: float = 0.3, seed: str = "smp") -> str:
+    cells = ", ".join(f"y{i} + sign(y{i}) * abs({sigma}::DOUBLE * {normal_sql(seed, 'noise', 'key', i)}) AS e{i}" if sigma else f"y{i} AS e{i}" for i in range(N))
     return f"expanded AS (SELECT key, cls, {', '.join(f'x{i}' for i in range(N))}, {cells} FROM moved)"
 
 
-def released(sigma: float = 0.3, reflection: str = "single", **how) -> str:
+def released(sigma: float = 0.3, reflection: str = "single", seed: str = "smp", **how) -> str:
     back = ", ".join(f"e{i} * s{i} + m{i} AS r{i}" for i in range(N))
-    return f"{base(reflection=reflection, **how)}, {moved(reflection)}, {expanded(sigma)}, rel AS (SELECT key, cls, {', '.join(f'x{i}' for i in range(N))}, {back} FROM expanded, mo)"
+    return f"{base(reflection=reflection, **how)}, {moved(reflection, seed)}, {expanded(sigma, seed)}, rel AS (SELECT key, cls, {', '.join(f'x{i}' for i in range(N))}, {back} FROM expanded, mo)"
 
 
 def values(prefix: str, source: str, extra: str = "cls") -> str:
