@@ -1,6 +1,7 @@
 import numpy as np
 import pytest
 
+from veilframe.llm import common
 from veilframe.llm import simhash as S
 
 
@@ -236,3 +237,20 @@ def test_rows_without_ids_and_with_shared_ids_stay(spark):
     got = [tuple(r) for r in S.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
     texts = sorted(t.removesuffix(" z") for _, t in got)
     assert texts == sorted(text(k) for k in range(6)) and (6, text(4)) in got and (7, text(5)) in got
+
+
+def test_no_side_of_a_join_is_gathered_on_the_driver(spark, monkeypatch):
+    """Neither the links, nor any round of the components, nor the groups' own plan broadcasts a table."""
+    plans, write = [], common.written
+
+    def noted(df, name):
+        plans.append(df._jdf.queryExecution().executedPlan().toString())
+        return write(df, name)
+
+    monkeypatch.setattr(common, "written", noted)
+    monkeypatch.setattr(S, "written", noted)
+    rows = [(i, " ".join(f"w{i // 3}x{j}" for j in range(2000)) + f" {i}") for i in range(60)]
+    got = S.near_groups(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert sorted((r.doc_id, r.component_id) for r in got.collect()) == [(i, c) for i, _, c in brute(rows)]
+    plans.append(got._jdf.queryExecution().executedPlan().toString())
+    assert sum("Join" in p for p in plans) >= 4 and not any("Broadcast" in p for p in plans)

@@ -157,18 +157,18 @@ def links(distinct: DataFrame, most: int = 3) -> DataFrame:
 
         return distinct.select("fp").mapInArrow(work, f"key long, {name} long")
 
-    return keyed(0, "a").join(keyed(1, "b"), "key").where((F.col("a") != F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= most)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    return keyed(0, "a").join(keyed(1, "b").hint("merge"), "key").where((F.col("a") != F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= most)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
 def near_groups(docs: DataFrame, words: int = 3, most: int = 3) -> DataFrame:
     """doc_id, fp, component_id for every row."""
     base = written(fingerprints(docs, words), "fingerprints")
-    distinct = base.groupBy("fp").agg(F.min("doc_id").alias("least"))
+    distinct = written(base.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct")
     roots = components(links(distinct, most), "simhash")
-    rooted = distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    rooted = distinct.join(roots.hint("merge"), F.col("fp") == F.col("node"), "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    names = rooted.join(named, "root").select(F.col("fp").alias("__fp"), "component_id")
-    return base.join(names, F.col("fp") == F.col("__fp")).select("doc_id", "fp", "component_id")
+    names = rooted.join(named.hint("merge"), "root").select(F.col("fp").alias("__fp"), "component_id")
+    return base.join(names.hint("merge"), F.col("fp") == F.col("__fp")).select("doc_id", "fp", "component_id")
 
 
 # --- near copies by similarity of word shingles -----------------------------------------------------------------
