@@ -238,3 +238,16 @@ def test_every_method_meets_both_pairings(spark, sf_small):
     assert {(r.method, r.pairing) for r in study.collect()} == {(m, p) for m in workloads.METHODS for p in ("true", "released")}
     ranks = workloads.resistance_ranks(study)
     assert {(r.treatment, r.pairing) for r in ranks.collect()} == {(m, p) for m in workloads.METHODS for p in ("true", "released")}
+
+
+@pytest.mark.parametrize("k", [1, 3])
+def test_neighbours_block_by_block(monkeypatch, k):
+    """Blocks of training rows give the neighbours of one matrix of all distances, none of which is held."""
+    rng = np.random.default_rng(2)
+    q, x = rng.normal(size=(40, 3)), rng.normal(size=(500, 3)).round(1)
+    d = (x * x).sum(axis=1) - 2 * q @ x.T
+    want = np.sort(np.take_along_axis(d, np.argsort(d, axis=1, kind="stable")[:, :k], axis=1), axis=1)
+    for rows in (2, 64, 1000):
+        monkeypatch.setattr(classify, "ROWS_AT_ONCE", rows)
+        at = classify.nearest(q, x, (x * x).sum(axis=1), k)
+        assert np.allclose(np.sort(np.take_along_axis(d, at, axis=1), axis=1), want) and at.shape == (40, k)
