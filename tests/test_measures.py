@@ -251,3 +251,18 @@ def test_neighbours_block_by_block(monkeypatch, k):
         monkeypatch.setattr(classify, "ROWS_AT_ONCE", rows)
         at = classify.nearest(q, x, (x * x).sum(axis=1), k)
         assert np.allclose(np.sort(np.take_along_axis(d, at, axis=1), axis=1), want) and at.shape == (40, k)
+
+
+def test_held_tables_are_dropped_and_records_keep_to_themselves(spark):
+    """beside() gives every record once, also where keys repeat, and what a study holds goes with it."""
+    from veilframe.plans.held import hold, holding
+
+    df = spark.createDataFrame([(i // 2, float(i), float(i * i % 7)) for i in range(40)], "id int, x double, y double")
+    spec = NumericMatrixSpec(("x", "y"), ("id",))
+    matrix = as_matrix(df, spec)
+    assert hold(matrix) is matrix
+    with holding():
+        pairs = workloads.beside(matrix, spec, fit(matrix, spec.value_cols), "SMP")
+        assert pairs.storageLevel.useDisk and pairs.count() == 40
+        assert sorted(r.x_x for r in pairs.collect()) == [float(i) for i in range(40)]
+    assert not pairs.storageLevel.useDisk
