@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from veilframe.functions.rng import keyed_normals, normal, normal_of
-from veilframe.plans import attacks, geometry, search
+from veilframe.plans import attacks, datasets, geometry, search
 
 
 def test_batches_draw_as_the_driver_does():
@@ -42,3 +42,12 @@ def test_distance_reads_held_rows_and_drops_them(spark, sf_small, monkeypatch):
     monkeypatch.setattr(attacks, "distance", lambda m, rel, attrs, **how: held.extend([m.storageLevel, rel.storageLevel]) or real(m, rel, attrs, **how))
     got = entry.queries()["distance_li4"](spark, sf_small)
     assert all(x.useDisk for x in held) and got.count() == 1 and not spark.sparkContext._jsc.sc().getPersistentRDDs().size()
+
+
+def test_characters_are_counted_on_bytes(spark):
+    texts = ["a", "éa\u20acé b", "", "zzz", "\u4e2d\u6587 aB", "a" * 70_000, None, "éà"]
+    docs = spark.createDataFrame([(i, t, "en", len(t or "")) for i, t in enumerate(texts)], "doc_id long, text string, lang string, n_chars long").coalesce(1)
+    classes = {"a": "a", "accents": "éà", "wide": "\u20ac\u6587", "upper": "AB"}
+    got = datasets.counted(docs, classes).orderBy("doc_id").collect()
+    assert [tuple(r[c] for c in classes) for r in got] == [tuple(None if t is None else sum(t.count(x) for x in set(k)) for k in classes.values()) for t in texts]
+    assert "translate" not in datasets.counted(docs, classes)._jdf.queryExecution().toString()
