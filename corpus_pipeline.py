@@ -27,7 +27,7 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def dedup_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-copy group stays."""
+    """One document of each near-copy group stays: SimHash fingerprints at most three bits apart, or similar shingle sets."""
     return simhash.keep_one(docs)
 
 

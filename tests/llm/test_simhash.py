@@ -254,3 +254,14 @@ def test_no_side_of_a_join_is_gathered_on_the_driver(spark, monkeypatch):
     assert sorted((r.doc_id, r.component_id) for r in got.collect()) == [(i, c) for i, _, c in brute(rows)]
     plans.append(got._jdf.queryExecution().executedPlan().toString())
     assert sum("Join" in p for p in plans) >= 4 and not any("Broadcast" in p for p in plans)
+
+
+def test_the_kept_ones_differ_in_fingerprint(spark, sf_small):
+    same = " ".join(["one phrase that this page says again and over"] * 200)
+    other = [f"{same} {' '.join(f'{k}{i}' for i in range(40))}" for k in "xy"]
+    assert jaccard(*other) < 0.5 and (S.fingerprint(other[0].encode()) ^ S.fingerprint(other[1].encode())).bit_count() <= 3
+    df = spark.createDataFrame([(1, other[0]), (2, other[1]), (3, "z " * 9), (4, " ".join(f"w{i}" for i in range(99)))], "doc_id long, text string")
+    assert sorted(r.doc_id for r in S.keep_one(df).collect()) == [1, 3, 4]
+    docs = spark.read.parquet(f"{sf_small}/documents.parquet").select("doc_id", "text")
+    fps = [S.fingerprint((r.text or "").encode()) for r in S.keep_one(docs).collect()]
+    assert min((a ^ b).bit_count() for i, a in enumerate(fps) for b in fps[:i]) > 3

@@ -171,9 +171,10 @@ def near_groups(docs: DataFrame, words: int = 3, most: int = 3) -> DataFrame:
     return base.join(names.hint("merge"), F.col("fp") == F.col("__fp")).select("doc_id", "fp", "component_id")
 
 
-# --- near copies by similarity of word shingles -----------------------------------------------------------------
+# --- near copies by fingerprints and by similarity of word shingles ---------------------------------------------
 #
-# Links are exact: two texts are linked if the Jaccard similarity of their sets of shingles reaches the threshold.
+# The pipeline links texts by their SimHash fingerprints as above, and then those that more bits tell apart by their
+# sets of shingles. These links are exact: two texts are linked if the Jaccard similarity of their sets of shingles reaches the threshold.
 # Candidates share a shingle among the first n - ceil(similarity * n) + 1 of their n, in one order for all texts;
 # no pair at the threshold can avoid that. Shingles that a sample shows to be common come last in the order, which
 # keeps buckets small and changes no result. Of the candidates, FILTER_BITS bits and then, for what passes, WIDE_BITS
@@ -264,23 +265,25 @@ def common_shingles(texts: DataFrame, words: int) -> np.ndarray:
 
 
 def sketches(texts: DataFrame, words: int, similarity: float, common: np.ndarray) -> DataFrame:
-    """doc_id, name, size of the shingle set, its bits b0 and b1, and its prefix."""
+    """doc_id, name, fp (the SimHash fingerprint), size of the shingle set, its bits b0 and b1, and its prefix."""
     b = [f"b{i}" for i in range(FILTER_BITS // 64)]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, at = text_bytes(batch.column(2))
-            sizes, bits, prefixes = [], [], []
+            fps, sizes, bits, prefixes = [], [], [], []
             for x, y in zip(at[:-1], at[1:], strict=True):
-                items = shingle_set(data[x:y].tobytes(), words)
+                text = data[x:y].tobytes()
+                items = shingle_set(text, words)
+                fps.append(fingerprint(text))
                 sizes.append(len(items))
                 bits.append(signature(items))
                 prefixes.append(prefix_of(items, similarity, common))
             if sizes:
                 bits = np.stack(bits)
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sizes, pa.int32()), *(pa.array(bits[:, i].copy()) for i in range(len(b))), _lists(prefixes)], names=["doc_id", "name", "size", *b, "prefix"])
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.array(fps, dtype=np.uint64).view(np.int64)), pa.array(sizes, pa.int32()), *(pa.array(bits[:, i].copy()) for i in range(len(b))), _lists(prefixes)], names=["doc_id", "name", "fp", "size", *b, "prefix"])
 
-    return texts.select("doc_id", "name", "text").mapInArrow(work, "doc_id long, name long, size int, " + ", ".join(f"{x} long" for x in b) + ", prefix array<long>")
+    return texts.select("doc_id", "name", "text").mapInArrow(work, "doc_id long, name long, fp long, size int, " + ", ".join(f"{x} long" for x in b) + ", prefix array<long>")
 
 
 BITS = [f"b{i}" for i in range(FILTER_BITS // 64)]
@@ -464,18 +467,33 @@ def _ends(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("a").alias("name")).union(edges.select("b")).distinct()
 
 
-def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
+def fingerprint_edges(distinct: DataFrame, most: int) -> DataFrame:
+    """Edges (a, b), a < b, of names by their SimHash fingerprints: a name and the first of its fingerprint, and the
+    firsts of fingerprints at most so many bits apart."""
+    heads = written(distinct.groupBy("fp").agg(F.min("name").alias("head")), "heads")
+    equal = distinct.select("name", "fp").join(heads.hint("merge"), "fp").where("name <> head").select("name", "head")
+    of = lambda end: heads.select(F.col("fp").alias(end), F.col("head").alias(f"{end}_head")).hint("merge")
+    near = links(heads, most).distinct().join(of("a"), "a").join(of("b"), "b").select("a_head", "b_head")
+    return equal.union(near).select(F.least("name", "head").alias("a"), F.greatest("name", "head").alias("b"))
+
+
+def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, bits: int | None = None) -> DataFrame:
     """doc_id, name, component_id, group: groups of texts linked by at least that similarity of their sets of word shingles.
 
+    bits: texts whose SimHash fingerprints differ in at most so many bits are linked first; the rounds on shingle sets
+    then compare only what the fingerprints have not joined.
     component_id is the smallest doc_id of a group and null if all are null; group tells all groups apart."""
     texts = named(docs)
     base = written(sketches(texts, words, similarity, common_shingles(texts, words)), "sketches")
-    distinct = written(base.groupBy("name").agg(F.min("doc_id").alias("least"), *(F.first(c).alias(c) for c in ("size", *BITS, "prefix"))), "names")
+    distinct = written(base.groupBy("name").agg(F.min("doc_id").alias("least"), *(F.first(c).alias(c) for c in ("fp", "size", *BITS, "prefix"))), "names")
+    by_bits = None if bits is None else written(fingerprint_edges(distinct, bits), "fingerprint-links")
     buckets = written(shared_buckets(distinct), "buckets")
     edges = written(leader_pairs(buckets, similarity), "candidates")
     sets = written(sets_of(_ends(edges), texts, distinct, words), "sets")
-    links = written(similar(edges, sets, similarity), "similar")
-    roots = components(links, "similar")
+    found = written(similar(edges, sets, similarity), "similar")
+    if by_bits is not None:
+        found = found.union(by_bits)
+    roots = components(found, "similar")
     mixed = written(mixed_buckets(buckets, roots), "mixed")
     drop_written(buckets)
     edges, rows = written(component_pairs(mixed, similarity), "candidates"), written(rows_with_partners(block_rows(mixed), similarity), "blocks")
@@ -485,17 +503,17 @@ def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8) ->
     rows = written(rows_with_partners(rows, similarity, sets), "blocks")
     more = written(similar(edges, sets, similarity).union(block_edges(rows, sets, similarity)), "similar")
     if more.limit(1).count():
-        roots = components(links.union(more), "similar")
+        roots = components(found.union(more), "similar")
     rooted = distinct.select("name", "least").join(roots, F.col("name") == F.col("node"), "left").select("name", "least", F.coalesce("root", "name").alias("root"))
     chosen = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
     names = rooted.join(chosen, "root").select(F.col("name").alias("__name"), "component_id", F.col("root").alias("group"))
     return base.select("doc_id", "name").join(names, F.col("name") == F.col("__name")).select("doc_id", "name", "component_id", "group")
 
 
-def keep_one(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
-    """docs with one document of each group of similar_groups: the one of smallest id, null ids last; of repeated
+def keep_one(docs: DataFrame, words: int = 5, similarity: float = 0.8, bits: int | None = 3) -> DataFrame:
+    """docs with one document of each group of similar_groups, by fingerprints and shingle sets: the one of smallest id, null ids last; of repeated
     rows, one. Rows are told apart by id and text, so one id may stand for several texts."""
-    groups = written(similar_groups(docs, words, similarity), "groups")
+    groups = written(similar_groups(docs, words, similarity, bits), "groups")
     first = F.struct(F.col("doc_id").isNull().alias("late"), F.col("doc_id").alias("id"), F.col("name").alias("of"))
     kept = groups.groupBy("group").agg(F.min(first).alias("kept")).select(F.col("group").alias("__in"), "kept")
     gone = groups.join(kept, F.col("group") == F.col("__in")).where(~(F.col("doc_id").eqNullSafe(F.col("kept.id")) & (F.col("name") == F.col("kept.of"))))
