@@ -51,3 +51,13 @@ def test_characters_are_counted_on_bytes(spark):
     got = datasets.counted(docs, classes).orderBy("doc_id").collect()
     assert [tuple(r[c] for c in classes) for r in got] == [tuple(None if t is None else sum(t.count(x) for x in set(k)) for k in classes.values()) for t in texts]
     assert "translate" not in datasets.counted(docs, classes)._jdf.queryExecution().toString()
+
+
+def test_time_sweep_builds_its_table_once(spark, sf_small, monkeypatch):
+    from veilframe.plans import bench
+
+    built, real = [], bench.as_matrix
+    monkeypatch.setattr(bench, "as_matrix", lambda *a: built.append(a) or real(*a))
+    got = bench.time_sweep(spark, sf_small, "li4", (0.5, 1.0), (3,), ("SMP-scan",))
+    assert [(r[0], r[2]) for r in got] == [("SMP-scan", 4), ("SMP-scan", 4), ("SMP-scan", 3)] and got[0][1] < got[1][1] == got[2][1]
+    assert len(built) == 1 and not spark.sparkContext._jsc.sc().getPersistentRDDs().size()

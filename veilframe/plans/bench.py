@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import baselines, datasets
+from .held import hold, holding
 from .matrix import NumericMatrixSpec, as_matrix
 from .moments import fit
 from .perturb import fit_model, release
@@ -40,14 +41,16 @@ def time_sweep(spark: SparkSession, folder: str, dataset: str = "li9", shares: t
     from ..functions.rng import uniform
     from .matrix import KEY
 
-    df, spec = datasets.DATASETS[dataset](spark, folder)
     out = []
-    for share, width in [*((s, spec.n) for s in shares), *((1.0, w) for w in widths)]:
-        part = spec.only(list(spec.value_cols[:width]))
-        matrix = as_matrix(df, part).where(uniform("bench", "rows", F.col(KEY)) < share).persist()
-        rows = matrix.count()
-        out += [(name, rows, width, timed(methods(matrix, part)[name])) for name in names]
-        matrix.unpersist()
+    with holding():
+        df, spec = datasets.DATASETS[dataset](spark, folder)
+        whole = hold(as_matrix(df, spec))
+        for share, width in [*((s, spec.n) for s in shares), *((1.0, w) for w in widths)]:
+            part = spec.only(list(spec.value_cols[:width]))
+            matrix = whole.select(KEY, *part.value_cols, *spec.kept).where(uniform("bench", "rows", F.col(KEY)) < share).persist()
+            rows = matrix.count()
+            out += [(name, rows, width, timed(methods(matrix, part)[name])) for name in names]
+            matrix.unpersist()
     return out
 
 
