@@ -266,3 +266,23 @@ def test_held_tables_are_dropped_and_records_keep_to_themselves(spark):
         assert pairs.storageLevel.useDisk and pairs.count() == 40
         assert sorted(r.x_x for r in pairs.collect()) == [float(i) for i in range(40)]
     assert not pairs.storageLevel.useDisk
+
+
+def test_small_tables_stay_spread_over_slots(spark):
+    """Places of a table of under a million rows are not found in one task."""
+    from veilframe.plans.held import gathered, holding
+
+    assert places.slots_for(900_000) > 50 and places.slots_for(100) == 1
+    with holding():
+        assert gathered(spark.range(0, 40, 1, 8), 40).rdd.getNumPartitions() == 1
+
+
+def test_resistance_study_equals_attacks_on_pairs(spark, sf_small):
+    """Versions beside their records and moments found once give what pairing each by itself gives."""
+    study = {(r.attack, r.pairing): (r.std_min, r.std_avg) for r in workloads.resistance_study(spark, sf_small, ("cust_spend",), ("ni", "io"), methods=("SMP",)).collect()}
+    matrix, spec, m = workloads.load(spark, sf_small, "cust_spend")
+    attrs = list(spec.value_cols)
+    rows = workloads.version(matrix, spec, m, "SMP")
+    for pairing in ("true", "released"):
+        for kind, run in (("ni", attacks.naive), ("io", attacks.known_io)):
+            assert study[kind, pairing] == pytest.approx(tuple(run(matrix, rows, attrs, pairing=pairing).first()), rel=1e-9)
