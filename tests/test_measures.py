@@ -286,3 +286,24 @@ def test_resistance_study_equals_attacks_on_pairs(spark, sf_small):
     for pairing in ("true", "released"):
         for kind, run in (("ni", attacks.naive), ("io", attacks.known_io)):
             assert study[kind, pairing] == pytest.approx(tuple(run(matrix, rows, attrs, pairing=pairing).first()), rel=1e-9)
+
+
+@pytest.mark.parametrize("k", [1, 3])
+def test_neighbours_by_blocks_need_no_driver(spark, monkeypatch, k):
+    """Blocks of rows against parts of queries find what all distances give, repeated keys and null labels included,
+    and no training row is gathered by the driver."""
+    for name, size in (("BLOCK", 90), ("PART", 30), ("ASKED_AT_ONCE", 16), ("BOX", 8)):
+        monkeypatch.setattr(classify, name, size)
+    monkeypatch.setattr(type(spark.range(1)), "toArrow", lambda *_: pytest.fail("rows are gathered by the driver"))
+    rng = np.random.default_rng(4)
+    rows = [(f"k{i // 2}", float(a), float(b), 7.0, None if i % 9 == 0 else int(a > 0) + int(b > 0)) for i, (a, b) in enumerate(rng.normal(size=(600, 2)))]
+    df = spark.createDataFrame([(*r, i) for i, r in enumerate(rows)], f"{KEY} string, a double, b double, c double, cls int, i int")
+    got = classify.knn(df.where("i < 480"), df.where("i >= 480"), ["a", "b", "c"], "cls", k)
+    x = np.array([r[1:3] for r in rows])
+    x = x / x[:480].std(axis=0, ddof=1)
+    want = []
+    for i in range(480, 600):
+        near = np.argsort(((x[:480] - x[i]) ** 2).sum(axis=1), kind="stable")[:k]
+        labels = [str(rows[j][4]) for j in near]
+        want.append((rows[i][0], str(rows[i][4]), min(labels, key=lambda y: (-labels.count(y), y))))
+    assert sorted((r[0], str(r.cls), str(r.predicted)) for r in got.collect()) == sorted(want)
