@@ -307,3 +307,50 @@ def test_neighbours_by_blocks_need_no_driver(spark, monkeypatch, k):
         labels = [str(rows[j][4]) for j in near]
         want.append((rows[i][0], str(rows[i][4]), min(labels, key=lambda y: (-labels.count(y), y))))
     assert sorted((r[0], str(r.cls), str(r.predicted)) for r in got.collect()) == sorted(want)
+
+
+def test_nearest_neighbour_is_asked_for_in_every_fold(spark, sf_small):
+    """The query has all ten folds and every document, with the counts of all distances (equal ones: smaller key)."""
+    from veilframe.queries import core
+
+    got = [tuple(r) for r in core.QUERIES["knn_accuracy_doc_letters"](spark, sf_small).collect()]
+    df, spec = datasets.doc_letters(spark, sf_small)
+    rows = sorted(classify.with_folds(as_matrix(df, spec)).select(KEY, "cls", "fold", *spec.value_cols).collect())
+    x, y, fold = np.array([r[3:] for r in rows]), np.array([r[1] for r in rows]), np.array([r[2] for r in rows])
+    want = []
+    for k in range(10):
+        sd = x[fold != k].std(axis=0, ddof=1)
+        d = ((x[fold == k][:, None, :] / sd - x[fold != k][None] / sd) ** 2).sum(axis=2)
+        want.append((k, int((y[fold != k][d.argmin(axis=1)] == y[fold == k]).sum()), int((fold == k).sum())))
+    assert got == want and sum(t for _, _, t in got) == len(rows)
+
+
+def test_nearest_neighbours_of_all_folds_by_blocks(spark, monkeypatch):
+    """Blocks of points against parts of them find what all distances give: equal rows, repeated keys, null labels,
+    constants, attributes without spread outside a fold, and folds without records included."""
+    for name, size in (("PACK", 90), ("TASKS", 5), ("LEAST_PART", 20), ("ASKED_AT_ONCE", 16), ("QUERIES_AT_ONCE", 7), ("BOX", 8)):
+        monkeypatch.setattr(classify, name, size)
+    rng = np.random.default_rng(5)
+    values = np.round(rng.normal(size=(500, 2)) * 8) / 8
+    values[rng.random(500) < 0.2] = 0.0
+    rows = [(f"k{i // 2}", float(a), float(b), 0.1, 0.0, None if i % 9 == 0 else int(rng.integers(3))) for i, (a, b) in enumerate(values)]
+    rows[7] = (*rows[7][:4], 5.0, rows[7][5])
+    schema = f"{KEY} string, a double, b double, c double, d double, cls int"
+    spec = NumericMatrixSpec(("a", "b", "c", "d"), (KEY,), "cls")
+    for some, folds in ((rows, 4), (rows[:6], 10), (rows[:1], 2), ([], 2)):
+        df = spark.createDataFrame(some, schema)
+        fold = {r[0]: r.fold for r in classify.with_folds(df, folds).collect()}
+        got = [tuple(r) for r in classify.cv_accuracy(df, spec, "knn", folds).collect()]
+        want = []
+        for k in range(folds):
+            train, test = sorted((r for r in some if fold[r[0]] != k), key=lambda r: (r[0], str(r[5]))), [r for r in some if fold[r[0]] == k]
+            x = np.array([r[1:5] for r in train]).reshape(-1, 4)
+            spread = np.ptp(x, axis=0) > 0 if len(train) > 1 else np.zeros(4, dtype=bool)
+            weights = np.divide(1, x.var(axis=0, ddof=1), out=np.zeros(4), where=spread) if spread.any() else np.zeros(4)
+            hits = 0
+            for r in test:
+                if train:
+                    d = ((x - np.array(r[1:5])) ** 2 * weights).sum(axis=1)
+                    hits += r[5] is not None and train[int(d.argmin())][5] == r[5]
+            want.append((k, hits, len(test)))
+        assert got == want, (len(some), folds)
